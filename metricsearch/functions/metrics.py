@@ -112,7 +112,7 @@ class Euclid(Manhattan):
     input_type = "struct<x:double,y:double>"
 
     def pack(self, objects):
-        return np.array([[o["x"], o["y"]] if isinstance(o, dict) else o for o in objects], np.float64).reshape(len(objects), -1)
+        return np.array([[o["x"], o["y"]] if isinstance(o, dict) else o for o in objects], np.float64).reshape(len(objects), 2)
 
     def read(self, column):
         return np.stack([column.field(k).to_numpy(zero_copy_only=False) for k in ("x", "y")], axis=1)

@@ -52,6 +52,7 @@ class VoronoiTree:
             raise ValueError("the degree must be over 1 and at most the leaf size")
         self.metric, self.store, self.k, self.l, self.how, self.n_pivots, self.seed, self.aux = metric, store, k, leaf, centers, n_pivots, seed, aux
         self.rng, self.counter, self.members, self.root = np.random.default_rng(seed), Counter(), {}, None
+        self.ident: np.ndarray | None = None  # object of each position, where one object has several
 
     # Building
 
@@ -256,8 +257,9 @@ class VoronoiTree:
         while queue:
             key, _, what, inside = heapq.heappop(queue)
             if not isinstance(what, Node):
-                if what not in seen:
-                    seen.add(what)
+                who = what if self.ident is None else int(self.ident[what])
+                if who not in seen:
+                    seen.add(who)
                     total += 1 + len(self.members.get(what, ()))
                     radius = max(radius, key)
                     if total >= k:
