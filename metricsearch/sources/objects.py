@@ -90,3 +90,14 @@ def cut_pieces(spark: SparkSession, sf_dir: str, size: int) -> DataFrame:
 def pick(df: DataFrame, n: int, seed: int = 1, key: str = "obj_id") -> DataFrame:
     """The first n rows by md5 of id and seed: the same rows in any engine and layout."""
     return df.orderBy(F.md5(F.concat(F.col(key).cast("string"), F.lit(f"|{seed}"))), key).limit(n)
+
+
+def close_gaps_units(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(user_id, n_units, closed): events as units of one hour by user, units put into gaps, and their summed length."""
+    t = _epoch("ts")
+    unit = F.struct(t.alias("t0"), (t + 3600000000).alias("t1"), F.lit(0.0).alias("x0"), F.lit(0.0).alias("y0"), F.col("value").alias("x1"), F.lit(0.0).alias("y1"), F.col("event_id").alias("id"))
+    raw = load(spark, sf_dir, "events", "event_id", "user_id", "ts", "value").groupBy("user_id").agg(F.array_sort(F.collect_list(unit)).alias("u"))
+    bare = F.transform("u", lambda u: F.struct(*[u[c].alias(c) for c in ("t0", "t1", "x0", "y0", "x1", "y1")]))
+    both = raw.select("user_id", bare.alias("u"), columns.close_gaps(bare).alias("c"))
+    total = lambda a: F.aggregate(a, F.lit(0).cast("long"), lambda s, u: s + u["t1"] - u["t0"])
+    return both.select("user_id", F.size("c").cast("long").alias("n_units"), (total(F.col("c")) - total(F.col("u"))).alias("closed"))
