@@ -1,68 +1,5 @@
-"""Tables an operator needs more than once, written to the folder all executors share."""
+"""Tables an operator needs more than once; see the shared module."""
 
-from __future__ import annotations
+from ..sources.scratch import delete, new_path, release, scratch_root, small_side, write_table
 
-import atexit
-import tempfile
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
-
-_SETTING = "spark.checkpoint.dir"
-_written: dict[str, list[str]] = {}
-
-
-def scratch_root(spark: SparkSession) -> str:
-    """The folder of ``spark.checkpoint.dir``; where that is unset (tests on one machine), a temporary one."""
-    root = spark.conf.get(_SETTING, None)
-    if not root:
-        if not spark.sparkContext.master.startswith("local"):
-            raise RuntimeError(f"set {_SETTING} to a folder that the driver and all executors share")
-        root = _written.setdefault("", [f"file://{tempfile.mkdtemp(prefix='llm-scratch-')}"])[0]
-    spark.sparkContext.setCheckpointDir(root) if not spark.sparkContext.getCheckpointDir() else None
-    return root.rstrip("/")
-
-
-def _fs(spark: SparkSession, path: str):
-    jvm_path = spark._jvm.org.apache.hadoop.fs.Path(path)
-    return jvm_path.getFileSystem(spark._jsc.hadoopConfiguration()), jvm_path
-
-
-def delete(spark: SparkSession, path: str) -> None:
-    fs, jvm_path = _fs(spark, path)
-    fs.delete(jvm_path, True)
-
-
-def new_path(spark: SparkSession, name: str, owner: str = "query") -> str:
-    """A fresh path under the shared folder, remembered under ``owner`` for :func:`release`."""
-    path = f"{scratch_root(spark)}/{name}-{uuid.uuid4().hex}"
-    _written.setdefault(owner, []).append(path)
-    return path
-
-
-def write_table(df: DataFrame, name: str, owner: str = "query", form: str = "parquet", **options) -> DataFrame:
-    """Write ``df`` once and return the table read back; this also cuts the lineage, so lost executors cost little."""
-    spark = df.sparkSession
-    path = new_path(spark, name, owner)
-    df.write.format(form).options(**options).save(path)
-    return spark.read.schema(df.schema).format(form).load(path)
-
-
-def small_side(df: DataFrame, most_rows: int = 500_000) -> DataFrame:
-    """``df`` with a broadcast hint if it has at most ``most_rows`` narrow rows, else as it is: a shuffled join."""
-    return F.broadcast(df) if df.limit(most_rows + 1).count() <= most_rows else df
-
-
-def release(spark: SparkSession, owner: str) -> None:
-    """Delete what ``owner`` has written; call it only when no lazy DataFrame reads those tables any more."""
-    for path in _written.pop(owner, []):
-        delete(spark, path)
-
-
-@atexit.register
-def _drop_local() -> None:
-    import shutil
-
-    for path in _written.get("", []):
-        shutil.rmtree(path.removeprefix("file://"), ignore_errors=True)
+__all__ = ["delete", "new_path", "release", "scratch_root", "small_side", "write_table"]
