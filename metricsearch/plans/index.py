@@ -23,7 +23,7 @@ from ..operators.scan import best_k
 from ..operators.voronoi import _as_objects, _joined
 from ..sources import scratch
 from .centers import Counter, assign_pruned, choose
-from .tree import EPS, Node, VoronoiTree
+from .tree import EPS, FAR, Node, VoronoiTree
 
 PART_ROWS = 1_000_000  # objects of a part that one task builds a tree over; larger cells are split again
 ENTRY = "node_id long, entry int, obj_id long, obj {obj}, subtree long, subtree_last long, cover_radius double, is_leaf boolean, live boolean, members array<long>, pair array<double>, pos array<double>, is_pivot boolean"
@@ -44,6 +44,7 @@ class TopTree(VoronoiTree):
     def route(self, ask: Ask, r: float, flags: dict | None = None) -> dict[int, str]:
         """part -> inside, outside or report, for all parts that may hold objects within r."""
         found: dict[int, str] = {}
+        r = min(r, FAR)
         stack = [(self.root, True)]
         while stack:
             kid, within = stack.pop()
@@ -293,7 +294,7 @@ def _search_part(metric: str, flags: dict, measure: bool):
             store = m.read(column.chunk(0) if isinstance(column, pa.ChunkedArray) else column)
             for i, (query_id, r, mode, cost) in enumerate(zip(*(asked[c].to_pylist() for c in ("query_id", "r", "mode", "n_dist")), strict=True)):
                 ask, found = Ask(m, tree.store, m.one(store, i)), {}
-                tree._search(tree.root, mode == "inside", ask, r, found, flags)
+                tree._search(tree.root, mode == "inside", ask, min(r, FAR), found, flags)
                 lost = [p for p, d in found.items() if d is None]
                 if measure and lost:
                     found.update(zip(lost, ask.ds(np.array(lost)).tolist(), strict=True))

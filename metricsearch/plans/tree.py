@@ -17,6 +17,7 @@ from ..functions.metrics import Ask, Metric
 from .centers import Counter, assign_pruned, choose, matrix
 
 EPS = 1e-9
+FAR = 1e200  # stands for an infinite radius
 ESTIMATES = {f"DE{i}": (i // 3, i % 3 - 1) for i in range(9)}
 
 
@@ -148,7 +149,7 @@ class VoronoiTree:
         ask = ask or Ask(self.metric, self.store, q, eager)
         found: dict[int, float | None] = {}
         if self.root is not None and r >= 0:
-            self._search(self.root, True, ask, r, found, flags)
+            self._search(self.root, True, ask, min(r, FAR), found, flags)
         out: dict[int, float | None] = {}
         for i, d in found.items():
             for j in self.expand([i]):
