@@ -62,7 +62,8 @@ def release(spark: SparkSession, owner: str) -> None:
 
 @atexit.register
 def _drop_local() -> None:
+    """At the end of the driver's process, tables in folders that it can reach itself go."""
     import shutil
 
-    for path in _written.get("", []):
+    for path in [p for paths in _written.values() for p in paths]:
         shutil.rmtree(path.removeprefix("file://"), ignore_errors=True)
