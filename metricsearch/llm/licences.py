@@ -75,7 +75,7 @@ RULES = (
 
 _KNOWN = [(name, regex.compile(pattern)) for name, pattern in SENTENCES.items()]
 _WORTH = regex.compile(r"licen[sc]|permission|redistribut|warrant|copyright|liable|spdx|public domain|all rights|apache|extent possible|cc0|neither the name|provided (?:as|by)", regex.I)
-_CUT = regex.compile(r"(?<=[.!?;:])\s+|\n\s*\n|\n(?=[A-Z0-9*#/-])")
+_CUT = regex.compile(r"(?<=[.!?;])\s+|\n\s*\n|\n(?=[A-Z0-9*#/-])")
 _DROP = regex.compile(r"[^a-z0-9.+\- ]+")
 _OWNER = regex.compile(r"^(?:copyright )?(?:\(c\)|©|copyright)?[^.]*?\b(?:19|20)\d\d[^.]*$")
 
