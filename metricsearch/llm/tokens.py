@@ -11,13 +11,14 @@ from __future__ import annotations
 import json
 import os
 from array import array
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
 
-MAX_PIECES, MAX_WORDS = 180_000, 300_000  # in each of two generations
+MAX_PIECES, MAX_WORDS = 200_000, 400_000  # in each of two generations
 LONGEST_KEPT = 48
+MARK = "\x7f"  # a word of its own to the pattern; texts that hold it are left to the library
 
 
 def default_tokenizer_path() -> str:
@@ -32,15 +33,10 @@ class _Kept:
     def __init__(self, most: int):
         self.most, self.young, self.old = most, {}, {}
 
-    def of(self, key: str, make: Callable[[str], bytes]) -> bytes:
-        if (got := self.young.get(key)) is None:
-            if (got := self.old.get(key)) is None:
-                got = make(key)
-            if len(key) <= LONGEST_KEPT:
-                if len(self.young) >= self.most:
-                    self.old, self.young = self.young, {}
-                self.young[key] = got
-        return got
+    def put(self, found: dict[str, bytes]) -> None:
+        if len(self.young) + len(found) > self.most:
+            self.old, self.young = self.young, {}
+        self.young.update(found if max(map(len, found), default=0) <= LONGEST_KEPT else {k: v for k, v in found.items() if len(k) <= LONGEST_KEPT})
 
 
 class TextEncoder:
@@ -59,7 +55,7 @@ class TextEncoder:
         if self.by_word:
             self.cut = regex.compile(made["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"]).findall
             # characters that normal forms leave alone and whose lower case is one character anywhere
-            self.plain = regex.compile("[\x21-\x7e\xa1-\xac\xae-\xbfÀ-įĲ-ňŊ-ɏ‐-‧€]*+").fullmatch
+            self.plain = regex.compile("[\x20-\x7e\x7f\xa1-\xac\xae-\xbfÀ-įĲ-ňŊ-ɏ‐-‧€]*+").fullmatch
             self.special = tuple(x["content"] for x in made["added_tokens"])
             self.bytes_of = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False).pre_tokenize_str
             self.merge = self.tokenizer.model.tokenize
@@ -69,25 +65,56 @@ class TextEncoder:
         """The library's own ids of a text."""
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
-    def _word(self, word: str) -> bytes:
-        shown = word if word.isascii() else self.bytes_of(word)[0][0]
-        return array("I", [x.id for x in self.merge(shown)]).tobytes()
-
-    def _piece(self, piece: str) -> bytes:
-        if not self.plain(piece) or any(x in piece for x in self.special):
-            return self.whole(piece) if piece else b""
-        words = self.cut(piece.lower())
-        return b"".join([self.words.of(x, self._word) for x in words])
+    def _merged(self, words: set[str]) -> dict[str, bytes]:
+        """Ids of words that the table lacks."""
+        old, merge, found = self.words.old, self.merge, {}
+        for word in words:
+            if (got := old.get(word)) is None:
+                shown = word if word.isascii() else self.bytes_of(word)[0][0]
+                got = array("I", [x.id for x in merge(shown)]).tobytes()
+            found[word] = got
+        self.words.put(found)
+        return found
+
+    def _clear(self, text: str) -> bool:
+        return bool(self.plain(text)) and not ("<" in text and any(x in text for x in self.special))
+
+    def _learnt(self, pieces: list[str]) -> dict[str, bytes]:
+        """Ids of pieces that the table lacks: all are cut into words in one go, with a mark between pieces."""
+        found, old = {}, self.pieces.old
+        new = [x for x in pieces if x not in old]
+        for x in pieces:
+            if x in old:
+                found[x] = old[x]
+        joined = f" {MARK} ".join(new)
+        if not self._clear(joined):
+            for x in [x for x in new if not self._clear(x)]:
+                found[x] = self.whole(x) if x else b""
+            new = [x for x in new if x not in found]
+            joined = f" {MARK} ".join(new)
+        if new:
+            words, young = self.cut(joined.lower()), self.words.young
+            fresh = self._merged(set(words).difference(young, (MARK,)))
+            ids: list[bytes] = []
+            each = iter(new)
+            for word in words:
+                if word == MARK:
+                    found[next(each)] = b"".join(ids)
+                    ids = []
+                else:
+                    ids.append(young[word] if word in young else fresh[word])
+            found[next(each)] = b"".join(ids)
+        self.pieces.put(found)
+        return found
 
     def encode(self, text: str | None) -> bytes:
         if not text:
             return b""
-        if not self.by_word:
+        if not self.by_word or MARK in text:
             return self.whole(text)
-        pieces = text.replace("\n", " ").split(" ")
-        young = self.pieces.young
+        young, pieces = self.pieces.young, text.replace("\n", " ").split(" ")
         if new := set(pieces).difference(young):
-            found = {x: self.pieces.of(x, self._piece) for x in new}
+            found = self._learnt(list(new))
             return b"".join([young[x] if x in young else found[x] for x in pieces])
         return b"".join([young[x] for x in pieces])
 
