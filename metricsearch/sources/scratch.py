@@ -5,6 +5,8 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -49,6 +51,21 @@ def write_table(df: DataFrame, name: str, owner: str = "query", form: str = "par
     return spark.read.schema(df.schema).format(form).load(path)
 
 
+@contextmanager
+def small_batches(spark: SparkSession, rows: int = 1000, size: int = 16 << 20) -> Iterator[None]:
+    """While it holds, plans that run send Python batches of at most ``rows`` rows and ``size`` bytes: for rows that
+    carry sets or lists, whose number says little about their memory."""
+    own = {"spark.sql.execution.arrow.maxRecordsPerBatch": str(rows), "spark.sql.execution.arrow.maxBytesPerBatch": str(size)}
+    before = {k: spark.conf.get(k, None) for k in own}
+    for k, v in own.items():
+        spark.conf.set(k, v)
+    try:
+        yield
+    finally:
+        for k, v in before.items():
+            spark.conf.set(k, v) if v is not None else spark.conf.unset(k)
+
+
 def small_side(df: DataFrame, most_rows: int = 500_000) -> DataFrame:
     """``df`` with a broadcast hint if it has at most ``most_rows`` narrow rows, else as it is: a shuffled join."""
     return F.broadcast(df) if df.limit(most_rows + 1).count() <= most_rows else df
