@@ -28,7 +28,7 @@ _SEEDS = words.mix(np.arange(1, SUBSETS + 1, dtype=np.uint64) * np.uint64(words.
 
 
 def _term_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
+    for batch in words.slices(batches, 5000):
         rows = list(words.distinct_words(batch["text"]))
         found, count = np.unique(np.concatenate(rows) if rows else np.zeros(0, np.uint64), return_counts=True)
         yield pa.RecordBatch.from_arrays([pa.array(found.view(np.int64)), pa.array(count.astype(np.int64))], ["term", "df"])

@@ -7,8 +7,8 @@
 3. The matrix: for each shingle of a prefix (the rarest part of a set) the chunks that hold it in a member's prefix.
    A link between sets of sizes m <= n has at least 6m/7 shingles in common, so its least common shingles stand in
    both prefixes; a document is a candidate for a chunk if it meets it in ``SHARED`` of them, by size and position.
-4. A candidate opens its chunk only if its overlap with the union of the chunk's sets allows the similarity; then
-   members are compared one by one. Pairs within one group need no comparison, as it is connected already.
+4. A candidate opens its chunk only if parities of a member and its overlap with the union of the chunk's sets allow
+   the similarity; then members are compared one by one. Pairs within one group need no comparison, as it is connected already.
 
 The order of shingles is free: those found often anywhere come last, so passages that many documents share hardly
 occur in prefixes. It rests on counts by batch and only changes the work, never the result. No pair is capped.
@@ -30,6 +30,7 @@ from .components import components
 SKETCH = 4  # least shingles kept for grouping
 SHARED = 4  # common prefix shingles a candidate needs, or as many as a link of its size has
 CHUNK = 64
+SLOTS = 1024  # of the parities that bound an overlap; a power of two
 OFTEN = 16  # a shingle counted this often goes to the end of the order
 MOST_OFTEN = 400_000  # the longest list of such shingles that is sent to the executors, 8 bytes each
 BATCH_OFTEN = 20_000
@@ -46,14 +47,21 @@ def _digest(shingles: np.ndarray) -> tuple[int, int]:
     return int(np.uint64(a).view(np.int64)), int(np.uint64(b).view(np.int64))
 
 
+def _parity(shingles: np.ndarray) -> list[int]:
+    """Parities of the counts of shingles by slot, as 64-bit words: the slots in which two sets differ bound from
+    below how many shingles are in one of them only."""
+    odd = np.bincount((shingles & np.uint64(SLOTS - 1)).astype(np.int64), minlength=SLOTS) & 1
+    return np.packbits(odd.astype(np.uint8)).view(np.int64).tolist()
+
+
 def _survey(width: int):
-    """Rows of kind 0: (doc_id, size, digest, least shingles); of kind 1: (shingle, count in the batch)."""
+    """Rows of kind 0: (doc_id, size, digest, least shingles, parities); of kind 1: (shingle, count in the batch)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in words.slices(batches):
             ids, rows, every = batch["doc_id"].to_pylist(), [], []
             for doc_id, s in zip(ids, words.shingle_sets(batch["text"], width), strict=True):
-                rows.append((0, doc_id, len(s), *(_digest(s) if len(s) else (0, 0)), s[:SKETCH].view(np.int64).tolist()))
+                rows.append((0, doc_id, len(s), *(_digest(s) if len(s) else (0, 0)), s[:SKETCH].view(np.int64).tolist(), _parity(s)))
                 every.append(s)
             if every and (all_of := np.concatenate(every)).size:
                 found, count = np.unique(all_of, return_counts=True)
@@ -61,11 +69,11 @@ def _survey(width: int):
                 if len(found) > BATCH_OFTEN:
                     top = np.argpartition(-count, BATCH_OFTEN)[:BATCH_OFTEN]
                     found, count = found[top], count[top]
-                rows += [(1, x, n, None, None, None) for x, n in zip(found.tolist(), count.tolist(), strict=True)]
+                rows += [(1, x, n, None, None, None, None) for x, n in zip(found.tolist(), count.tolist(), strict=True)]
             if rows:
                 columns = list(zip(*rows, strict=True))
-                kinds = [pa.int32(), *[pa.int64()] * 4, pa.list_(pa.int64())]
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], ["kind", "doc_id", "n", "h1", "h2", "least"])
+                kinds = [pa.int32(), *[pa.int64()] * 4, *[pa.list_(pa.int64())] * 2]
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], ["kind", "doc_id", "n", "h1", "h2", "least", "bits"])
 
     return run
 
@@ -75,7 +83,7 @@ def _postings(width: int, percent: int, often):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last = often.value
-        for batch in batches:
+        for batch in words.slices(batches):
             sets, lengths, sizes, places = [], [], [], []
             for s in words.shingle_sets(batch["text"], width):
                 n = len(s)
@@ -157,7 +165,7 @@ def _candidates(percent: int):
 
 def _sets(width: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in words.slices(batches):
             sets = [s.tobytes() for s in words.shingle_sets(batch["text"], width)]
             yield pa.RecordBatch.from_arrays([batch["doc_id"], pa.array(sets, pa.binary())], ["doc_id", "shingles"])
 
@@ -194,6 +202,21 @@ def _open(percent: int):
     return run
 
 
+def _possible(candidates: DataFrame, members: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """Candidates (q, grp, chunk) for which the parities allow a link to some member of the chunk.
+
+    Sets of sizes a and b whose parities differ in d slots have at most (a + b - d) / 2 shingles in common.
+    """
+    known = classes.select("rep", F.col("n").cast("long").alias("n"), "bits")
+    named = scratch.small_side(candidates.select("grp", "chunk").distinct())
+    theirs = members.join(named, ["grp", "chunk"], "left_semi").join(known.toDF("doc_id", "m", "b"), "doc_id").drop("doc_id")
+    mine = candidates.join(known.toDF("q", "n", "a"), "q")
+    differ = F.aggregate(F.zip_with("a", "b", lambda x, y: F.bit_count(x.bitwiseXOR(y)).cast("long")), F.lit(0).cast("long"), lambda t, x: t + x)
+    both = F.col("n") + F.col("m")
+    met = mine.join(theirs, ["grp", "chunk"]).where((100 + percent) * (both - differ) >= 2 * percent * both)
+    return met.select("q", "grp", "chunk").distinct()
+
+
 def _verify(candidates: DataFrame, members: DataFrame, docs: DataFrame, width: int, percent: int, owner: str) -> DataFrame:
     """Links among ``candidates`` (q, grp, chunk), given ``members`` (grp, chunk, doc_id) of the chunks they name."""
     named = scratch.small_side(candidates.select("grp", "chunk").distinct())
@@ -217,10 +240,10 @@ def ngram_components(docs: DataFrame, width: int = 5, percent: int = 75, owner:
     """
     spark = docs.sparkSession
     docs = docs.select("doc_id", "text")
-    survey = docs.mapInArrow(_survey(width), "kind int, doc_id long, n long, h1 long, h2 long, least array<long>")
+    survey = docs.mapInArrow(_survey(width), "kind int, doc_id long, n long, h1 long, h2 long, least array<long>, bits array<long>")
     survey = scratch.write_table(survey, "survey", owner)
     rows = survey.where("kind = 0").drop("kind")
-    classes = rows.where("n > 0 and doc_id is not null").groupBy("h1", "h2", "n").agg(F.min("doc_id").alias("rep"), F.first("least").alias("least"), F.count("*").alias("copies"))
+    classes = rows.where("n > 0 and doc_id is not null").groupBy("h1", "h2", "n").agg(F.min("doc_id").alias("rep"), F.first("least").alias("least"), F.first("bits").alias("bits"), F.count("*").alias("copies"))
     classes = scratch.write_table(classes, "classes", owner)
 
     often = survey.where("kind = 1").groupBy("doc_id").agg(F.sum("n").alias("n")).where(F.col("n") >= OFTEN)
@@ -234,6 +257,7 @@ def ngram_components(docs: DataFrame, width: int = 5, percent: int = 75, owner:
     stars = stars.select(F.col("rep").alias("q"), F.col("hub.rep").alias("grp"), F.lit(0).cast("long").alias("chunk")).distinct()
     stars = scratch.write_table(stars, "stars", owner)
     alone = stars.select("grp", "chunk", F.col("grp").alias("doc_id")).distinct()
+    stars = scratch.write_table(_possible(stars, alone, classes, percent), "possible-stars", owner)
     links = _verify(stars, alone, docs, width, percent, owner)
     groups = components(links)
 
@@ -256,6 +280,7 @@ def ngram_components(docs: DataFrame, width: int = 5, percent: int = 75, owner:
     need = F.least(F.lit(SHARED), F.ceil(F.max("n") * percent / F.lit(100)))
     candidates = met.groupBy("q", "grp", "chunk").agg(F.count("*").alias("met"), need.alias("need")).where("met >= need").select("q", "grp", "chunk")
     candidates = scratch.write_table(candidates, "candidates", owner)
+    candidates = scratch.write_table(_possible(candidates, whole, classes, percent), "possible", owner)
     more = _verify(candidates, whole, docs, width, percent, owner)
 
     # Components of all links, and from classes back to documents.

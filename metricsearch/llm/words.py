@@ -21,7 +21,7 @@ _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
-_CHUNK = 2 << 20
+_CHUNK = 512 << 10
 _powers: list[np.ndarray] = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
 
@@ -55,8 +55,15 @@ def text_buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, offsets
 
 
+def slices(batches: Iterator[pa.RecordBatch], rows: int = 2000) -> Iterator[pa.RecordBatch]:
+    """The batches in slices of at most ``rows`` rows, so that what is made of one stays small."""
+    for batch in batches:
+        for first in range(0, batch.num_rows, rows):
+            yield batch.slice(first, rows)
+
+
 def word_chunks(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
-    """Yield (first row, end row, word hashes, row of each word) for runs of whole rows of about two megabytes."""
+    """Yield (first row, end row, word hashes, row of each word) for runs of whole rows of about half a megabyte."""
     data, offsets = text_buffers(column)
     first, n = 0, len(offsets) - 1
     while first < n:
