@@ -223,11 +223,13 @@ def _verify(candidates: DataFrame, members: DataFrame, docs: DataFrame, width: i
     members = scratch.write_table(members.join(named, ["grp", "chunk"], "left_semi"), "members", owner)
     wanted = scratch.small_side(candidates.select(F.col("q").alias("doc_id")).union(members.select("doc_id")).distinct())
     sets = docs.join(wanted, "doc_id", "left_semi").mapInArrow(_sets(width), "doc_id long, shingles binary")
-    sets = scratch.write_table(sets, "sets", owner)
+    with scratch.small_batches(docs.sparkSession):
+        sets = scratch.write_table(sets, "sets", owner)
     matrix = members.join(sets, "doc_id").groupBy("grp", "chunk").agg(F.collect_list(F.struct("doc_id", "shingles")).alias("members"))
     asked = candidates.join(sets.withColumnRenamed("doc_id", "q"), "q").join(matrix, ["grp", "chunk"])
     links = asked.select("q", "shingles", "members").mapInArrow(_open(percent), "a long, b long")
-    return scratch.write_table(links, "links", owner)
+    with scratch.small_batches(docs.sparkSession, 200):
+        return scratch.write_table(links, "links", owner)
 
 
 def ngram_components(docs: DataFrame, width: int = 5, percent: int = 75, owner: str = "query") -> DataFrame:
@@ -241,7 +243,8 @@ def ngram_components(docs: DataFrame, width: int = 5, percent: int = 75, owner:
     spark = docs.sparkSession
     docs = docs.select("doc_id", "text")
     survey = docs.mapInArrow(_survey(width), "kind int, doc_id long, n long, h1 long, h2 long, least array<long>, bits array<long>")
-    survey = scratch.write_table(survey, "survey", owner)
+    with scratch.small_batches(spark, 2000):
+        survey = scratch.write_table(survey, "survey", owner)
     rows = survey.where("kind = 0").drop("kind")
     classes = rows.where("n > 0 and doc_id is not null").groupBy("h1", "h2", "n").agg(F.min("doc_id").alias("rep"), F.first("least").alias("least"), F.first("bits").alias("bits"), F.count("*").alias("copies"))
     classes = scratch.write_table(classes, "classes", owner)
@@ -279,7 +282,8 @@ def ngram_components(docs: DataFrame, width: int = 5, percent: int = 75, owner:
     met = dealt.mapInArrow(_candidates(percent), "q long, grp long, chunk long, n long")
     need = F.least(F.lit(SHARED), F.ceil(F.max("n") * percent / F.lit(100)))
     candidates = met.groupBy("q", "grp", "chunk").agg(F.count("*").alias("met"), need.alias("need")).where("met >= need").select("q", "grp", "chunk")
-    candidates = scratch.write_table(candidates, "candidates", owner)
+    with scratch.small_batches(spark, 10_000):
+        candidates = scratch.write_table(candidates, "candidates", owner)
     candidates = scratch.write_table(_possible(candidates, whole, classes, percent), "possible", owner)
     more = _verify(candidates, whole, docs, width, percent, owner)
 
