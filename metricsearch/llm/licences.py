@@ -1,8 +1,10 @@
 """Licence scans by sentence rules: sentences are named first, then the order of their names is matched.
 
-A text is cut into sentences, each is normalised (lower case, words and version numbers only) and looked up among
-known licence sentences; what is not known has no name. The names found, in order, are matched against ordered rules:
-a rule is a sequence of names, and the first rule that fits at a place, the longest first, takes its sentences.
+A text is cut into pieces, each is normalised (lower case, words and version numbers only) and looked up among known
+licence sentences; what is not known has no name. Line breaks, comment signs and semicolons may stand inside a sentence,
+so a known sentence may take several adjacent pieces, up to a full stop or a blank line. The names found, in order, are
+matched against ordered rules: a rule is a sequence of names, and the first rule that fits at a place, the longest
+first, takes its sentences.
 """
 
 from __future__ import annotations
@@ -37,10 +39,12 @@ SENTENCES = {
     "gpl": r"this (?:work|file|software|program|project) is (?:licensed|released|distributed) under (?:the terms of )?the gnu general public licen[sc]e,? (?:version |v)(?P<version>[123])(?:\.0)?(?P<later> or (?:at your option )?any later version| or later)?",
     "gpl-free": r"this (?:program|file|library) is free software you can redistribute it and(?: or)? modify it under the terms of the gnu general public license as published by the free software foundation either version (?P<version>[123]) of the license or at your option any later version",
     "lgpl": r"(?:this (?:work|file|software|library|project) is )?(?:licensed|released|distributed) under (?:the terms of )?the gnu (?:lesser|library) general public licen[sc]e,? (?:version |v)(?P<version>[23](?:\.[01])?)(?P<later> or (?:at your option )?any later version| or later)?",
+    "lgpl-free": r"this (?:program|file|library|software) is free software you can redistribute it and(?: or)? modify it under the terms of the gnu (?:lesser|library) general public license as published by the free software foundation either version (?P<version>[23](?:\.[01])?) of the license or at your option any later version",
+    "agpl-free": r"this (?:program|file|library|software) is free software you can redistribute it and(?: or)? modify it under the terms of the gnu affero general public license as published by the free software foundation either version (?P<version>[13]) of the license or at your option any later version",
     "agpl": r"(?:this (?:work|file|software|program|project) is )?(?:licensed|released|distributed) under (?:the terms of )?the gnu affero general public licen[sc]e,? (?:version |v)(?P<version>[13])(?P<later> or (?:at your option )?any later version| or later)?",
     "mpl": r"(?:this (?:work|file|software|project|source code form) is )?(?:licensed|released|distributed|subject)(?: under| to) the terms of the mozilla public licen[sc]e,? (?:version |v) ?(?P<version>[12]\.[01])",
     "cc": r"(?:this (?:work|file|text|article) is )?(?:licensed|released|distributed) under (?:a |the )?(?:cc|creative commons) (?P<kind>by(?:-nc)?(?:-sa|-nd)?)(?: licen[sc]e)? (?P<version>[1-4]\.[05])(?: international| licen[sc]e)*",
-    "cc0": r"(?:to the extent possible under law.*|.*(?:licensed|released|dedicated).* cc0(?: 1\.0)?(?: universal)?.*)",
+    "cc0": r"(?:to the extent possible under law.*|(?=.* cc0)[^\x1f]*(?:licensed|released|dedicated).* cc0(?: 1\.0)?(?: universal)?.*)",
     "spdx": r"spdx-license-identifier (?P<id>[\w.+-]+(?: (?:or|and|with) [\w.+-]+)*)",
     "public-domain": r"this (?:work|file|software) (?:is|has been placed) in the public domain",
     "rights": r"all rights reserved",
@@ -64,7 +68,9 @@ RULES = (
     ("GPL-{version}.0{later}", ("gpl",)),
     ("GPL-{version}.0-or-later", ("gpl-free",)),
     ("LGPL-{version}{later}", ("lgpl",)),
+    ("LGPL-{version}-or-later", ("lgpl-free",)),
     ("AGPL-{version}.0{later}", ("agpl",)),
+    ("AGPL-{version}.0-or-later", ("agpl-free",)),
     ("MPL-{version}", ("mpl",)),
     ("CC-{kind}-{version}", ("cc",)),
     ("CC0-1.0", ("cc0",)),
@@ -73,9 +79,13 @@ RULES = (
     ("proprietary", ("rights",)),
 )
 
-_KNOWN = [(name, regex.compile(pattern)) for name, pattern in SENTENCES.items()]
-_WORTH = regex.compile(r"licen[sc]|permission|redistribut|warrant|copyright|liable|spdx|public domain|all rights|apache|extent possible|cc0|neither the name|provided (?:as|by)", regex.I)
-_CUT = regex.compile(r"(?<=[.!?;])\s+|\n\s*\n|\n(?=[A-Z0-9*#/-])")
+_SOFT = "\x1f"  # stands between normalised pieces that may be one sentence
+_KNOWN = [(name, regex.compile(f"(?:{pattern.replace('.*', '.*?').replace(' ', f'[ {_SOFT}]')})(?={_SOFT}|\\Z)")) for name, pattern in SENTENCES.items()]
+_WORTH = regex.compile(r"licen[sc]|permission|redistribut|warrant|copyright|liable|spdx|public\W+domain|all\W+rights|apache|extent\W+possible|cc0|neither\W+the\W+name|provided\W+(?:as|by)", regex.I)
+_BARE = regex.compile(r"^[ \t]*+(?:[*#/;%!<>=~|_-]++|dnl|rem)[ \t\r]*+$", regex.M | regex.I)  # lines of comment signs are blank lines
+_LEADER = regex.compile(r"^[ \t]*+(?:dnl|rem)(?=[ \t])", regex.M | regex.I)  # comment signs that are words
+_CUT = regex.compile(r"(?<=[.!?;])\s+|\n\s*\n|\n(?=[A-Z0-9*#/-])|\n(?=[ \t]*+(?:[*#/;%!A-Z0-9]|--|<!--))")
+_ENDS = regex.compile(r"(?<![^\W\d_])v\.$|;$", regex.I)  # what looks like an end and may stand inside a sentence
 _DROP = regex.compile(r"[^a-z0-9.+\- ]+")
 _OWNER = regex.compile(r"^(?:copyright )?(?:\(c\)|©|copyright)?[^.]*?\b(?:19|20)\d\d[^.]*$")
 
@@ -86,17 +96,36 @@ def normalise(sentence: str) -> str:
     return " ".join(x.strip(".") if not x[:1].isdigit() else x.rstrip(".") for x in s.split() if x.strip(".-+"))
 
 
+def _sentences(text: str) -> Iterator[tuple[int, list[str]]]:
+    """(place of the first, pieces) of each stretch of pieces between full stops and blank lines."""
+    text = _LEADER.sub("#", _BARE.sub("", text))
+    pieces: list[str] = []
+    at = place = 0
+    for cut in _CUT.finditer(text):
+        pieces.append(text[at : cut.start()])
+        at = cut.end()
+        if cut[0].count("\n") > 1 or (pieces[-1].endswith((".", "!", "?")) and not _ENDS.search(pieces[-1][-3:])):
+            yield place, pieces
+            place, pieces = place + len(pieces), []
+    yield place, [*pieces, text[at:]]
+
+
 def name_sentences(text: str) -> list[tuple[int, str, dict[str, str]]]:
-    """(place, name, named parts) of the known sentences of a text, in order; a line break inside one is a space."""
+    """(place, name, named parts) of the known sentences of a text, in order; the place is that of the first piece."""
     out = []
-    for place, raw in enumerate(_CUT.split(text)):
-        if not _WORTH.search(raw):
+    for first, pieces in _sentences(text):
+        if not _WORTH.search(" ".join(pieces)):
             continue
-        plain = normalise(raw)
-        for name, pattern in _KNOWN:
-            if m := pattern.fullmatch(plain):
-                out.append((place, name, {k: v or "" for k, v in m.groupdict().items()}))
-                break
+        plain = [(place, x) for place, raw in enumerate(pieces, first) if (x := normalise(raw))]
+        joined, at, free = _SOFT.join(x for _, x in plain), 0, 0
+        for place, x in plain:
+            if at >= free:
+                for name, pattern in _KNOWN:
+                    if m := pattern.match(joined, at):
+                        out.append((place, name, {k: v.replace(_SOFT, " ") if v else "" for k, v in m.groupdict().items()}))
+                        free = m.end()
+                        break
+            at += len(x) + 1
     return out
 
 
@@ -109,6 +138,8 @@ def match_rules(found: list[tuple[int, str, dict[str, str]]]) -> list[tuple[str,
             i += 1
             continue
         licence, seq = max(fits, key=lambda x: len(x[1]))
+        if licence.startswith("LGPL") and "." not in found[i][2]["version"]:
+            licence = licence.replace("{version}", "{version}.0")
         parts = {k: ("-or-later" if v else "-only") if k == "later" else v.upper() if k == "kind" else v for k, v in found[i][2].items()}
         out.append((licence.format(**parts), found[i][0]))
         i += len(seq)

@@ -88,6 +88,33 @@ def test_licences():
         assert all(s in licences.SENTENCES for s in seq), licence
 
 
+HEADERS = {
+    "GPL-2.0-or-later": "Copyright (C) 2020 A. Person\n\nThis program is free software; you can redistribute it and/or modify\nit under the terms of the GNU General Public License as published by\nthe Free Software Foundation; either version 2 of the License, or\n(at your option) any later version.\n\nThis program is distributed in the hope that it will be useful,\nbut WITHOUT ANY WARRANTY; without even the implied warranty of\nMERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the\nGNU General Public License for more details.",
+    "LGPL-2.1-or-later": "This library is free software; you can redistribute it and/or\nmodify it under the terms of the GNU Lesser General Public\nLicense as published by the Free Software Foundation; either\nversion 2.1 of the License, or (at your option) any later version.",
+    "LGPL-3.0-or-later": "This library is free software: you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
+    "MPL-2.0": "This Source Code Form is subject to the terms of the Mozilla Public\nLicense, v. 2.0. If a copy of the MPL was not distributed with this\nfile, You can obtain one at https://mozilla.org/MPL/2.0/.",
+    "MIT": 'Copyright (c) 2020 A. Person\n\nPermission is hereby granted, free of charge, to any person obtaining a copy\nof this software and associated documentation files (the "Software"), to deal\nin the Software without restriction, including without limitation the rights\nto use, copy, modify, and/or sell copies of the\nSoftware, subject to the following conditions:\n\nThe above copyright notice and this permission notice shall be included in all\ncopies or substantial portions of the Software.\n\nTHE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR\nIMPLIED, AND NONINFRINGEMENT. IN NO EVENT SHALL THE\nAUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER\nLIABILITY.',
+    "BSD-3-Clause": "Copyright (c) 2020, A. Person\n\nRedistribution and use in source and binary forms, with or without\nmodification, are permitted provided that the following conditions are met:\n\n1. Redistributions of source code must retain the above copyright notice, this\n   list of conditions and the following disclaimer.\n\n2. Redistributions in binary form must reproduce the above copyright notice,\n   this list of conditions and the following disclaimer in the documentation\n   and/or other materials provided with the distribution.\n\n3. Neither the name of the copyright holder nor the names of its\n   contributors may be used to endorse or promote products derived from\n   this software without specific prior written permission.",
+}
+
+
+@pytest.mark.parametrize("lead", ["", "# ", "// ", "* ", " * ", ";; ", "dnl ", "    "])
+def test_licence_headers_in_comments(lead):
+    for licence, header in HEADERS.items():
+        text = "\n".join((lead + line).rstrip() for line in header.split("\n"))
+        for whole in (text, f"/*\n{text}\n */\n#include <a.h>\nint main(); x = 1;", text.replace("\n", "\r\n")):
+            assert licences.scan_text(whole)[0] == [licence], (licence, whole)
+        if licence == "MIT":
+            assert licences.scan_text(text)[2] == ["mit-grant", "mit-notice", "asis", "no-liability"]
+
+
+def test_licence_lines_stay_apart():
+    assert licences.scan_text("- released under the MIT license\n- some words\nLicensed under the GNU Lesser General Public License, version 3\nMore")[0] == ["MIT", "LGPL-3.0-only"]
+    assert licences.scan_text("This work is licensed\n# under the MIT License; it says.")[0] == ["MIT"]
+    assert licences.scan_text("Some words; the data are released under CC0.")[:2] == (["CC0-1.0"], [1])
+    assert licences.scan_text("In no event shall the authors go. They may be liable.")[0] == []
+
+
 def test_licence_scan_rows(spark, odd, empty):
     assert licences.scan(odd).count() == 14 and licences.scan(empty).count() == 0
 
