@@ -9,6 +9,8 @@
    both prefixes; a document is a candidate for a chunk if it meets it in ``SHARED`` of them, by size and position.
 4. A candidate opens its chunk only if parities of a member and its overlap with the union of the chunk's sets allow
    the similarity; then members are compared one by one. Pairs within one group need no comparison, as it is connected already.
+5. Where all links are asked for, and not the components alone, step 4 gives way to blocks: each pair of chunks of one
+   group, and each pair of chunks that a candidate connects, is compared once, every member with every member.
 
 The order of shingles is free: those found often anywhere come last, so passages that many documents share hardly
 occur in prefixes. It rests on counts by batch and only changes the work, never the result. No pair is capped.
@@ -21,7 +23,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import scratch, words
@@ -232,6 +234,121 @@ def _verify(candidates: DataFrame, members: DataFrame, docs: DataFrame, width: i
         return scratch.write_table(links, "links", owner)
 
 
+def _class_sets(width: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in words.slices(batches):
+            sets = list(words.shingle_sets(batch["text"], width))
+            digests = [_digest(s) if len(s) else (0, 0) for s in sets]
+            columns = [[len(s) for s in sets], [x for x, _ in digests], [x for _, x in digests]]
+            yield pa.RecordBatch.from_arrays([batch["doc_id"], *(pa.array(c, pa.int64()) for c in columns), pa.array([s.tobytes() for s in sets], pa.binary())], ["doc_id", "n", "h1", "h2", "shingles"])
+
+    return run
+
+
+def _common(a: list[np.ndarray], b: list[np.ndarray]) -> np.ndarray:
+    """Numbers of common shingles of each set of ``a`` with each of ``b``, over slices of the shingles they share."""
+    every = np.intersect1d(np.unique(np.concatenate(a)), np.unique(np.concatenate(b)), assume_unique=True)
+    out = np.zeros((len(a), len(b)), np.int64)
+    for at in range(0, len(every), 16_384):
+        some, sides = every[at : at + 16_384], []
+        for sets in (a, b):
+            side = np.zeros((len(sets), len(some)), np.float32)
+            for i, s in enumerate(sets):
+                place = np.minimum(np.searchsorted(some, s), len(some) - 1)
+                side[i, place[some[place] == s]] = 1
+            sides.append(side)
+        out += (sides[0] @ sides[1].T).astype(np.int64)
+    return out
+
+
+def _blocks(percent: int, counts: bool):
+    """All links between the members of two chunks, or within one: pairs (a, b, common), or (class_id, n) for each
+    class that has some."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for same, mine, theirs in zip(batch["same"].to_pylist(), batch["mine"], batch["theirs"], strict=True):
+                names, sets = [], []
+                for side in (mine, theirs):
+                    names.append(np.array(side.values.field("class_id").to_pylist(), object))
+                    sets.append([np.frombuffer(x.as_buffer(), np.uint64) for x in side.values.field("shingles")])
+                size = [np.array([len(s) for s in x], np.int64) for x in sets]
+                both = _common(*sets)
+                link = 100 * both >= percent * (size[0][:, None] + size[1][None, :] - both)
+                if same:
+                    link &= names[0][:, None] < names[1][None, :]
+                i, j = np.nonzero(link)
+                if not len(i):
+                    continue
+                if counts:
+                    found, n = np.unique(np.concatenate([names[0][i], names[1][j]]).astype(str), return_counts=True)
+                    yield pa.RecordBatch.from_arrays([pa.array(found.tolist(), pa.string()), pa.array(n, pa.int64())], ["class_id", "n"])
+                else:
+                    a, b = names[0][i], names[1][j]
+                    swap = a > b
+                    a, b = np.where(swap, b, a), np.where(swap, a, b)
+                    yield pa.RecordBatch.from_arrays([pa.array(a.tolist(), pa.string()), pa.array(b.tolist(), pa.string()), pa.array(both[i, j], pa.int64())], ["a", "b", "common"])
+
+    return run
+
+
+def _class_id() -> Column:
+    return F.concat(F.lpad(F.hex("h1"), 16, "0"), F.lpad(F.hex("h2"), 16, "0"), F.lit("-"), F.col("n").cast("string"))
+
+
+def _all_links(candidates: DataFrame, whole: DataFrame, placed: DataFrame, classes: DataFrame, docs: DataFrame, width: int, percent: int, owner: str, counts: bool) -> DataFrame:
+    """Links of all pairs of classes, given ``candidates`` (q, grp, chunk) between groups; see :func:`_blocks`.
+
+    Each class is in one chunk and each pair of chunks is met once, so no pair is compared twice. Two classes that
+    share their least document (one id with several texts) are in one chunk.
+    """
+    chunks = placed.select("grp", "chunk").distinct()
+    lone = classes.groupBy("rep").agg(F.count("*").alias("texts")).where("texts > 1").select(F.col("rep").alias("doc_id"))
+    own = chunks.unionByName(whole.join(lone, "doc_id", "left_semi").select("grp", "chunk")).distinct()
+    inside = own.toDF("grp", "x").join(own.toDF("grp", "y"), "grp").where("x <= y").select("grp", "x", F.col("grp").alias("grp2"), "y")
+    met = candidates.join(whole.toDF("q", "grp2", "y"), "q").select(F.col("grp").alias("g"), F.col("chunk").alias("c"), "grp2", "y")
+    low, high = F.struct("g", "c"), F.struct(F.col("grp2").alias("g"), F.col("y").alias("c"))
+    met = met.select(F.least(low, high).alias("l"), F.greatest(low, high).alias("h")).select("l.g", "l.c", F.col("h.g").alias("g2"), F.col("h.c").alias("c2"))
+    blocks = scratch.write_table(inside.toDF("g", "c", "g2", "c2").unionByName(met).distinct(), "blocks", owner)
+    named = blocks.select("g", "c").union(blocks.select("g2", "c2")).distinct().toDF("grp", "chunk")
+    members = scratch.write_table(whole.join(scratch.small_side(named), ["grp", "chunk"], "left_semi"), "block-members", owner)
+    texts = docs.join(scratch.small_side(members.select("doc_id")), "doc_id", "left_semi")
+    sets = texts.mapInArrow(_class_sets(width), "doc_id long, n long, h1 long, h2 long, shingles binary")
+    with scratch.small_batches(docs.sparkSession):
+        sets = scratch.write_table(sets, "block-sets", owner)
+    sets = sets.join(classes.select(F.col("rep").alias("doc_id"), "n", "h1", "h2"), ["doc_id", "n", "h1", "h2"], "left_semi").dropDuplicates(["n", "h1", "h2"])
+    matrix = members.join(sets, "doc_id").groupBy("grp", "chunk").agg(F.collect_list(F.struct(_class_id().alias("class_id"), "shingles")).alias("members"))
+    matrix = scratch.write_table(matrix, "matrix", owner)
+    asked = blocks.join(matrix.toDF("g", "c", "mine"), ["g", "c"]).join(matrix.toDF("g2", "c2", "theirs"), ["g2", "c2"])
+    asked = asked.select(((F.col("g") == F.col("g2")) & (F.col("c") == F.col("c2"))).alias("same"), "mine", "theirs")
+    with scratch.small_batches(docs.sparkSession, 20):
+        return scratch.write_table(asked.mapInArrow(_blocks(percent, counts), "class_id string, n long" if counts else "a string, b string, common long"), "all-links", owner)
+
+
+def ngram_links(docs: DataFrame, width: int = 5, percent: int = 75, owner: str = "query") -> tuple[DataFrame, DataFrame]:
+    """All links of ``docs``: pairs (a, b, common) of class ids, a < b, and the members (doc_id, class_id) of classes.
+
+    A class holds the rows with one set of shingles; its members link to each other and to the members of each class
+    it is paired with. Rows without doc_id or shingles are in no class. A group of N different near copies has up to
+    N * (N - 1) / 2 pairs, and all are given. See :func:`ngram_components` for the rest.
+    """
+    rows, _, links = _join(docs, width, percent, owner, "pairs")
+    return links, rows.where("n > 0 and doc_id is not null").select("doc_id", _class_id().alias("class_id")).distinct()
+
+
+def ngram_link_counts(docs: DataFrame, width: int = 5, percent: int = 75, owner: str = "query") -> DataFrame:
+    """(doc_id, n_shingles, component_id, n_links) of every row of ``docs``: as :func:`ngram_components`, with the
+    number of other classes, sets of shingles different from the row's own, that the row's set links to.
+
+    Pairs are counted block by block where they are found and not written out.
+    """
+    rows, named, links = _join(docs, width, percent, owner, "counts")
+    total = links.groupBy("class_id").agg(F.sum("n").alias("n_links"))
+    out = rows.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), _class_id()).alias("class_id"))
+    out = out.join(scratch.small_side(total), "class_id", "left").join(scratch.small_side(named), F.col("doc_id") == F.col("node"), "left")
+    return out.select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"), F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"))
+
+
 def ngram_components(docs: DataFrame, width: int = 5, percent: int = 75, owner: str = "query") -> DataFrame:
     """(doc_id, n_shingles, component_id) of every row of ``docs`` (doc_id, text; other columns are left out).
 
@@ -240,6 +357,13 @@ def ngram_components(docs: DataFrame, width: int = 5, percent: int = 75, owner:
     are one document: each keeps its own set size, and all share the component of any of them. A row without doc_id
     links to nothing and has a null component. Very long texts are read whole. An empty table gives no rows.
     """
+    rows, named, _ = _join(docs, width, percent, owner)
+    out = rows.select("doc_id", F.col("n").alias("n_shingles")).join(scratch.small_side(named), F.col("doc_id") == F.col("node"), "left")
+    return out.select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
+
+
+def _join(docs: DataFrame, width: int, percent: int, owner: str, links_as: str | None = None) -> tuple[DataFrame, DataFrame, DataFrame | None]:
+    """Rows with their sizes and digests, (node, component), and all links as "pairs" or "counts" if asked for."""
     spark = docs.sparkSession
     docs = docs.select("doc_id", "text")
     survey = docs.mapInArrow(_survey(width), "kind int, doc_id long, n long, h1 long, h2 long, least array<long>, bits array<long>")
@@ -291,8 +415,9 @@ def ngram_components(docs: DataFrame, width: int = 5, percent: int = 75, owner:
     joined = groups.select(F.col("node").alias("a"), F.col("component").alias("b")).union(more)
     twice = rows.where("n > 0 and doc_id is not null").join(classes.where("copies > 1"), ["h1", "h2", "n"]).where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
     named = components(joined.union(twice))
-    out = rows.select("doc_id", F.col("n").alias("n_shingles")).join(scratch.small_side(named), F.col("doc_id") == F.col("node"), "left")
-    return out.select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
+    if links_as is None:
+        return rows, named, None
+    return rows, named, _all_links(candidates, whole, placed, classes, docs, width, percent, owner, links_as == "counts")
 
 
 def first_of_each(docs: DataFrame, width: int = 5, percent: int = 75, owner: str = "query") -> DataFrame:

@@ -31,6 +31,10 @@ def ngram_classes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.ngram_components(_table(spark, sf_dir, "documents"))
 
 
+def ngram_link_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.ngram_link_counts(_table(spark, sf_dir, "documents"))
+
+
 def source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "source", mixing.word_total().alias("size"))
     mixed = mixing.mix(docs)
@@ -71,6 +75,7 @@ QUERIES = {
     "op2_licence_scan": licence_scan,
     "op3_token_file": token_file_digest,
     "op4_ngram_join": ngram_classes,
+    "op4_ngram_links": ngram_link_counts,
     "op5_source_mix": source_mix,
     "op6_chat_format": chat_digest,
     "op7_maxscore": maxscore_search,

@@ -58,4 +58,12 @@ least_of as (select node, min(other) as component from reach group by node)
 
 NGRAM = _SHINGLES + "select s.doc_id, len(s.s)::bigint as n_shingles, coalesce(l.component, s.doc_id) as component_id from sets s left join least_of l on s.doc_id = l.node"
 
-ORACLES = {"op4_ngram_join": NGRAM, "op5_source_mix": MIX, "op6_chat_format": CHAT, "op7_maxscore": SEARCH}
+LINKS = (
+    _SHINGLES
+    + """, texts_of as (select list_sort(s) as k, min(doc_id) as rep from sets where doc_id is not null and len(s) > 0 group by k),
+linked as (select a.rep, count(*) as n from texts_of a join edges on edges.a = a.rep join texts_of b on edges.b = b.rep group by a.rep)
+select s.doc_id, len(s.s)::bigint as n_shingles, coalesce(l.component, s.doc_id) as component_id, coalesce(linked.n, 0)::bigint as n_links
+from sets s left join least_of l on s.doc_id = l.node left join texts_of t on t.k = list_sort(s.s) left join linked on linked.rep = t.rep"""
+)
+
+ORACLES = {"op4_ngram_join": NGRAM, "op4_ngram_links": LINKS, "op5_source_mix": MIX, "op6_chat_format": CHAT, "op7_maxscore": SEARCH}

@@ -231,6 +231,38 @@ def test_ngram_components(spark, odd, empty):
     assert kept.columns == odd.columns and {3, 8} & {r.doc_id for r in kept.collect()} == set()
 
 
+def test_all_links_are_given(spark, odd, empty):
+    """Links within a group of near copies larger than a chunk, between groups, and of ids with several texts."""
+    rng = random.Random(3)
+    base = [f"g{i}" for i in range(120)]
+    rows = []
+    for _ in range(150):
+        w = list(base)
+        for _ in range(rng.randrange(0, 5)):
+            w[rng.randrange(120)] = f"x{rng.randrange(10_000)}"
+        rows.append((len(rows) + 1, " ".join(w), "en", "a"))
+    rows += [(len(rows) + k, " ".join(base[k : 100 + k]), "en", "a") for k in range(1, 12)]
+    rows += [(5, "five words are said here twice", "en", "a"), (7, "five words are said here twice", "en", "a"), (7, " ".join(base[:90]), "en", "a"), (None, " ".join(base), "en", "a"), (900, None, "en", "a")]
+    for docs in (table(spark, rows), odd):
+        seen = [(r.doc_id, frozenset(shingles(r.text))) for r in docs.collect()]
+        texts = {s for i, s in seen if s and i is not None}
+        want = {frozenset((s, t)) for s, t in itertools.combinations(texts, 2) if 100 * len(s & t) >= 75 * len(s | t)}
+        pairs, members = ngram_join.ngram_links(docs)
+        by_class = {}
+        for r in members.collect():
+            by_class.setdefault(r.class_id, set()).add(r.doc_id)
+        ids = {s: frozenset(i for i, t in seen if t == s and i is not None) for s in texts}
+        assert sorted(map(sorted, by_class.values())) == sorted(map(sorted, ids.values()))
+        got = [tuple(sorted((sorted(by_class[r.a]), sorted(by_class[r.b])))) for r in pairs.collect()]
+        assert sorted(got) == sorted(tuple(sorted(sorted(ids[s]) for s in x)) for x in want)
+        counted = ngram_join.ngram_link_counts(docs)
+        links = {s: sum(s in x for x in want) for s in texts}
+        assert sorted((str(r.doc_id), r.n_shingles, r.n_links) for r in counted.collect()) == sorted((str(i), len(s), links[s] if s and i is not None else 0) for i, s in seen)
+        plain = ngram_join.ngram_components(docs)
+        assert sorted(map(str, counted.drop("n_links").collect())) == sorted(map(str, plain.collect()))
+    assert ngram_join.ngram_link_counts(empty).count() == 0
+
+
 def test_components(spark):
     edges = [(i, i + 1) for i in range(40)] + [(100, 200), (200, 150), (7, 7), (None, 3)]
     got = {r.node: r.component for r in components.components(spark.createDataFrame(edges, "a long, b long")).collect()}
@@ -394,6 +426,10 @@ def test_twins(spark, small, name):
     assert columns == sorted(want.columns) and key(got) == key(want)
 
 
+def test_link_counts_twin(spark, small):
+    test_twins(spark, small, "op4_ngram_links")
+
+
 def test_scratch_is_released(spark):
     import os
 
