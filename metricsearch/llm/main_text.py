@@ -4,7 +4,8 @@ Markup is stripped first: every block element ends a line, and elements that nev
 headers and footers, asides, forms, scripts, styles, and those whose class or id names such a part or reader
 comments) leave a gap. Then text lengths are summed over sliding windows of lines; a window that surges above a
 threshold opens the main text, the first empty window after it is the dive that closes it, and all lines between are
-kept. Gaps are as wide as a window, so no window looks across one. Words inside links count nothing.
+kept. Gaps are as wide as a window, so no window looks across one; short runs that gaps cut off from the main text stay
+in it where they lie between two parts of it, or next to one in its container. Words inside links count nothing.
 """
 
 from __future__ import annotations
@@ -30,19 +31,42 @@ NEVER = frozenset("nav header footer aside form menu dialog head button fieldset
 MAIN = frozenset({"article", "main"})
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 HINTS = regex.compile(
-    r"(?<![a-z])(?:ads?|adverts?|advertisements?|adsense|banner|promo(?:tion)?|sponsor(?:ed)?|sidebar|side-?bar|widget|menu|nav(?:bar|igation)?|breadcrumbs?|footer|masthead|site-?header|page-?header|cookies?|consent|notice|alert|popup|modal|overlay|newsletter|subscribe|signup|sign-?up|login|social|share|sharing|related|recommended|comments?|disqus|replies|respond|discussion|pagination|pager|toolbar|skip-?link|hidden)(?![a-z])"
+    r"ads?|adverts?|advertisements?|adsense|banner|promo(?:tion)?|sponsor(?:ed)?|sidebar|side-?bar|widget|menu|nav(?:bar|igation)?|breadcrumbs?|footer|masthead|site-?header|page-?header|cookies?|consent|notice|alert|popup|modal|overlay|newsletter|subscribe|signup|sign-?up|login|social|share|sharing|related|recommended|comments?|disqus|replies|respond|discussion|pagination|pager|toolbar|skip-?link|hidden"
 )
-COMMENTS = regex.compile(r"(?<![a-z])(?:comments?|disqus|replies|respond|discussion)(?![a-z])")
+COMMENTS = regex.compile(r"comments?|disqus|replies|respond|discussion")
+# Words of class names: those that say how a page is laid out around a part, and those that may follow a part's name.
+LAYOUT = frozenset("with without no has not show hide".split())
+AFTER = frozenset("ad ads area bar block body box btn button buttons card column container content form group holder icons inner item items link links list main module outer panel place placeholder row section slot space thread top bottom left right unit widget wrap wrapper zone".split())
+INLINE = frozenset("h1 h2 h3 h4 h5 h6 blockquote pre address center figure figcaption dl dir".split())  # blocks of the text around them
 
 _TAG = regex.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*+>|<(/?)([a-zA-Z][^\s/>]*+)((?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+)>|<(/?)([a-zA-Z][^\s/>]*+)([^>]*+)>", regex.S)
 _CLASS = regex.compile(r"(?:class|id|role|itemprop)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", regex.I)
 
 
+def _names(hint: str, parts: regex.Pattern) -> bool:
+    """Does a class or id name one of ``parts``: as a whole, as its last words, or followed by words such as "box"?"""
+    for token in hint.split():
+        words = [x for x in regex.split(r"[-_:]+", token) if x]
+        if LAYOUT.intersection(words):
+            continue
+        end = len(words)
+        while end and (words[end - 1] in AFTER or words[end - 1].isdigit()):
+            end -= 1
+        for last in range(end, len(words) + 1):
+            if any(parts.fullmatch("-".join(words[i:last])) for i in range(max(0, last - 2), last)):
+                return True
+    return False
+
+
 class _Page:
-    """Lines of a page: text, characters outside links, and whether an element declares them as main text."""
+    """Lines of a page: text, characters outside links, and whether an element declares them as main text.
+
+    ``within`` has the containers of each line, innermost last; none are those of the body itself."""
 
     def __init__(self) -> None:
         self.lines: list[tuple[str, int, bool]] = []
+        self.within: list[tuple[int, ...]] = []
+        self.containers: tuple[int, ...] = ()
         self.parts: list[str] = []
         self.linked = 0
         self.breaks = 0
@@ -52,17 +76,23 @@ class _Page:
         if text:
             free = len(text) - self.linked
             self.lines.append((text, free if free >= (1 - LINK_SHARE) * len(text) else 0, inside))
+            self.within.append(self.containers)
         self.parts, self.linked, self.breaks = [], 0, 0
 
     def gap(self) -> None:
         if self.lines and self.lines[-1][0]:
             self.lines += [("", 0, False)] * WINDOW
+            self.within += [()] * WINDOW
 
 
 def strip_markup(page: str) -> list[tuple[str, int, bool]]:
     """Lines of a page with gaps (empty lines) where parts that hold no article stood."""
+    return _strip(page).lines
+
+
+def _strip(page: str) -> _Page:
     out, at, size = _Page(), 0, len(page)
-    stack: list[tuple[str, bool, bool, bool]] = []  # name, left out, main, a gap at its end
+    stack: list[tuple[str, bool, bool, bool, int]] = []  # name, left out, main, a gap at its end, place in the page
     skip = inside = False
     links = 0
     while at < size:
@@ -108,21 +138,47 @@ def strip_markup(page: str) -> list[tuple[str, int, bool]]:
                     del stack[places[-1] :]
             elif name not in VOID and name not in ("html", "body", "p", "li", "tr", "td", "th", "dt", "dd"):
                 hint = " ".join("".join(x) for x in _CLASS.findall(attributes)).lower() if attributes else ""
-                main = (name in MAIN or bool(regex.search(r"(?<![a-z])articlebody(?![a-z])", hint))) and not COMMENTS.search(hint)
-                left = (name in NEVER and not (name == "header" and inside)) or (name != "article" and name != "main" and bool(HINTS.search(hint))) or bool(COMMENTS.search(hint))
+                main = (name in MAIN or bool(regex.search(r"(?<![a-z])articlebody(?![a-z])", hint))) and not _names(hint, COMMENTS)
+                left = (name in NEVER and not (name == "header" and inside)) or (name != "article" and name != "main" and _names(hint, HINTS)) or _names(hint, COMMENTS)
                 if main and skip and stack and not any(x[1] and (x[0] in NEVER) for x in stack):
                     stack = [x for x in stack if not x[1]]  # an advert or notice that was never closed
                 if left or main:
                     out.gap()
-                stack.append((name, left, main, left or main))
+                stack.append((name, left, main, left or main, at))
+            out.containers = tuple(x[4] for x in stack if x[0] not in INLINE)
             skip, inside = any(x[1] for x in stack), any(x[2] for x in stack)
     if not skip:
         out.end_line(inside)
-    return out.lines
+    return out
+
+
+def _joined(lines: list[tuple[str, int, bool]], within: list[tuple[int, ...]], runs: list[tuple[int, int]]) -> list[str]:
+    """Lines of the runs and of what gaps cut off from them: between two runs, text outside links; and next to a run
+    each line whose container is its container, or holds it or lies in it and is not the body."""
+    text = [i for i, x in enumerate(lines) if x[0]]
+    kept = {i for a, b in runs for i in range(a, b)}
+    kept |= {i for i in text if runs[0][0] <= i < runs[-1][1] and lines[i][1]} if runs else set()
+
+    def near(i: int, j: int) -> bool:
+        a, b = within[i], within[j]
+        return a == b or bool(a and b and (a == b[: len(a)] or b == a[: len(b)]))
+
+    for order, leading in ((text, False), (text[::-1], True)):
+        last = None
+        for i in order:
+            if i in kept:
+                last = i
+            elif last is not None and near(i, last) and not (leading and not lines[i][1]):
+                kept.add(i)
+            else:
+                last = None
+    return [lines[i][0] for i in text if i in kept]
+
 
+def main_lines(lines: list[tuple[str, int, bool]], window: int = WINDOW, surge: int = SURGE, within: list[tuple[int, ...]] | None = None) -> list[str]:
+    """Lines between surges and dives. Where elements declare main text, only their lines count, and any text surges.
 
-def main_lines(lines: list[tuple[str, int, bool]], window: int = WINDOW, surge: int = SURGE) -> list[str]:
-    """Lines between surges and dives. Where elements declare main text, only their lines count, and any text surges."""
+    With the containers of the lines, ``within``, short runs that gaps cut off from the main text are joined to it."""
     declared = any(x[2] for x in lines)
     if declared:
         lines = [x if x[2] else ("", 0, False) for x in lines]
@@ -133,7 +189,7 @@ def main_lines(lines: list[tuple[str, int, bool]], window: int = WINDOW, surge:
     if not blocks:
         return []
     threshold = 1 if declared else min(surge, max(1, max(blocks)))
-    kept, i = [], 0
+    runs, i = [], 0
     while i < len(lines):
         if blocks[i] < threshold or not lines[i][1]:
             i += 1
@@ -142,14 +198,19 @@ def main_lines(lines: list[tuple[str, int, bool]], window: int = WINDOW, surge:
         while end < len(lines) and blocks[end]:
             end += 1
         last = max(j for j in range(i, min(end + 1, len(lines))) if lines[j][1])
-        kept += [x[0] for x in lines[i : last + 1] if x[0]]
+        runs.append((i, last + 1))
         i = last + 1
-    return kept
+    if within is not None and not declared:
+        return _joined(lines, within, runs)
+    return [x[0] for a, b in runs for x in lines[a:b] if x[0]]
 
 
 def main_text(page: str | None) -> str:
     """Blocks of the main text, each with single spaces, joined by two line feeds; empty for null or none."""
-    return "\n\n".join(main_lines(strip_markup(page))) if page else ""
+    if not page:
+        return ""
+    stripped = _strip(page)
+    return "\n\n".join(main_lines(stripped.lines, within=stripped.within))
 
 
 def extract(pages: DataFrame, html_column: str = "html") -> DataFrame:

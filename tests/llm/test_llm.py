@@ -60,6 +60,32 @@ def test_main_text_without_an_article():
     assert len(lines) == 7 and lines[5] == "Short." and "Home" not in lines and "Other" not in " ".join(lines)
 
 
+def test_main_text_around_adverts():
+    long = "Words of the story go on and on until the end of the line is reached at last. " * 2
+    ad = "<div class='{}'>Buy this now.</div>"
+    share, advert = ad.format("share"), ad.format("ad")
+    says = lambda page: main_text.main_text(page).split("\n\n")
+    two = [long.strip()] * 2
+    body = f"<p>{long}</p><p>{long}</p>"
+    for open_, close in (("<body>", "</body>"), ("<body><div id=content>", "</div></body>")):
+        assert says(f"{open_}<h1>A title</h1>{share}{body}{close}") == ["A title", *two]
+        assert says(f"{open_}{body}{advert}<p>Short last line.</p>{close}") == [*two, "Short last line."]
+        assert says(f"{open_}{body}{advert}<p>Short.</p>{advert}{body}{close}") == [*two, "Short.", *two]
+        assert says(f"{open_}{body}{advert}<p>See <a href=x>all of the other stories</a></p>{close}") == [*two, "See all of the other stories"]
+    assert says(f"<div id=content><h1>A title</h1>{share}<div class=text>{body}</div></div>") == ["A title", *two]
+    menu = "<ul><li><a href=a>Home</a></li><li>News</li></ul>"
+    assert says(f"<body>{menu}{advert}<div id=content>{body}</div>{advert}<div id=x>Imprint</div></body>") == two
+
+
+def test_main_text_hints_are_whole_names():
+    body = f"<p>{'Words of the story go on and on until the end of the line. ' * 3}</p>"
+    for name in ("content with-sidebar", "content no-ads", "has-share", "post no-comments", "sidebar-layout", "content-with-sidebar", "noticeable"):
+        for element in ("div", "article"):
+            assert main_text.main_text(f"<{element} class='{name}'>{body}</{element}>"), name
+    for name in ("sidebar", "left-sidebar", "ad-slot", "ad_box_2", "x social-share", "page-header", "skip-link", "sign-up", "comments-area", "share-buttons", "cookie-notice"):
+        assert main_text.main_text(f"{body}<div class='{name}'>{body.replace('story', 'other')}</div>").count("other") == 0, name
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.text(alphabet="<>/ap \"'=!-&;x\n", max_size=80))
 def test_main_text_never_fails(page):
