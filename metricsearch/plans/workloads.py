@@ -74,12 +74,27 @@ def asked(objs: DataFrame, n: int = ASKED, r: float = 0.0, k: int = K, seed: int
     return pick(objs, n, seed).select(F.col("obj_id").alias("query_id"), "obj", F.lit(float(r)).alias("r"), F.lit(k).alias("k"))
 
 
-def _pairs(spark, d, name: str, n: int = ASKED) -> DataFrame:
+def asked_all(objs: DataFrame, r: float = 0.0, k: int = K) -> DataFrame:
+    """A query table of all objects whose id is divisible by 100; it grows with the set."""
+    return objs.where("obj_id % 100 = 0").select(F.col("obj_id").alias("query_id"), "obj", F.lit(float(r)).alias("r"), F.lit(k).alias("k"))
+
+
+def _every(sql: str) -> str:
+    """The twin of a search, asked for all objects whose id is divisible by 100."""
+    for n in range(1, ASKED + 1):
+        sql = sql.replace(_ASKED.format(n=n), "asked as (select distinct obj_id from v where obj_id % 100 = 0)")
+        for rows in ("e", "p"):
+            sql = sql.replace(f"q as (select * from {rows} order by md5(id || '|1'), id limit {n})", f"q as (select * from {rows} where id % 100 = 0)")
+    assert " limit " not in sql and "% 100 = 0" in sql
+    return sql
+
+
+def _pairs(spark, d, name: str, n: int | None = ASKED) -> DataFrame:
     objs = objects(spark, d, name)
-    return pick(objs, n).select(F.col("obj_id").alias("a_id"), F.col("obj").alias("a")).join(objs.select(F.col("obj_id").alias("b_id"), F.col("obj").alias("b")))
+    return (pick(objs, n) if n else objs.where("obj_id % 100 = 0")).select(F.col("obj_id").alias("a_id"), F.col("obj").alias("a")).join(objs.select(F.col("obj_id").alias("b_id"), F.col("obj").alias("b")))
 
 
-def _pair_query(name: str, metric: str, n: int):
+def _pair_query(name: str, metric: str, n: int | None):
     from ..functions.register import pairwise
 
     return lambda spark, d: _pairs(spark, d, name, n).select("a_id", "b_id", F.round(pairwise(metric)("a", "b"), 6).alias("d"))
@@ -219,13 +234,13 @@ def _gathered(objs: DataFrame, metric: str):
     return ids, store
 
 
-def _local(name: str, kind: str, knn: bool):
+def _local(name: str, kind: str, knn: bool, ask=asked):
     make = {"gnat": lambda m, s: Gnat(m, s, 4, LEAF), "mvpt": lambda m, s: Mvpt(m, s, 4, LEAF), "local_tree": lambda m, s: VoronoiTree(m, s, DEGREE, LEAF)}[kind]
 
     def run(spark, d):
         metric = SETS[name]
         m, objs = METRICS[metric], objects(spark, d, name)
-        (ids, store), queries = _gathered(objs, metric), asked(objs, r=RADII[name])
+        (ids, store), queries = _gathered(objs, metric), ask(objs, r=RADII[name])
         tree = make(m, store).build()
         qids, qs, _, _ = scan.collect_queries(queries, metric)
         rows = []
@@ -241,10 +256,10 @@ def _local(name: str, kind: str, knn: bool):
     return run
 
 
-def _range(name: str, how: str):
+def _range(name: str, how: str, ask=asked):
     def run(spark, d):
         objs = objects(spark, d, name)
-        queries = asked(objs, r=RADII[name])
+        queries = ask(objs, r=RADII[name])
         if how == "scan":
             found = scan.range_scan(objs, queries, SETS[name])
         else:
@@ -254,10 +269,10 @@ def _range(name: str, how: str):
     return run
 
 
-def _knn(name: str, how: str):
+def _knn(name: str, how: str, ask=asked):
     def run(spark, d):
         objs = objects(spark, d, name)
-        queries = asked(objs)
+        queries = ask(objs)
         if how == "scan":
             found = scan.knn_scan(objs, queries, SETS[name])
         else:
@@ -280,11 +295,11 @@ for _name in ("part_paths", "order_points"):
 _query(None, "range_line_words_scan")(_range("line_words", "scan"))
 
 
-def _filtered(how: str):
+def _filtered(how: str, ask=asked):
     def run(spark, d):
         objs = objects(spark, d, "part_paths")
         tubed = scratch.write_table(filter_refine.attach_tubes(objs, 10.0), "tubed")
-        queries, r = asked(objs, r=RADII["part_paths"]), RADII["part_paths"]
+        queries, r = ask(objs, r=RADII["part_paths"]), RADII["part_paths"]
         if how == "index":
             tree = ix.build(tubed.select("obj_id", F.col("tube").alias("obj")), "sad", DEGREE, LEAF)
             probes = filter_refine.attach_tubes(queries.select(F.col("query_id").alias("obj_id"), "obj"), 10.0).select(F.col("obj_id").alias("query_id"), F.col("tube").alias("obj"), F.lit(r + 10.0).alias("r"))
@@ -302,6 +317,23 @@ def _filtered(how: str):
 for _how, _title in (("mean", "range_fr_scan"), ("max", "range_fr_scan_max"), ("own", "range_fr_scan_own"), ("index", "range_fr_index")):
     _query(f"select query_id, obj_id from ({_RANGE_SQL['part_paths']})", _title)(_filtered(_how))
 
+# The same searches and pairs for all objects whose id is divisible by 100
+
+for _name in _RANGE_SQL:
+    for _how in ("scan", "tree"):
+        _query(_every(_RANGE_SQL[_name]), f"range_{_name}_{_how}_every100")(_range(_name, _how, asked_all))
+        _query(_every(_KNN_SQL[_name]), f"knn_{_name}_{_how}_every100")(_knn(_name, _how, asked_all))
+    for _how in ("gnat", "mvpt"):
+        _query(_every(_RANGE_SQL[_name]), f"range_{_name}_{_how}_every100")(_local(_name, _how, False, asked_all))
+        _query(_every(_KNN_SQL[_name]), f"knn_{_name}_{_how}_every100")(_local(_name, _how, True, asked_all))
+for _name in ("part_paths", "order_points"):
+    for _how in ("best_first", "growing"):
+        _query(_every(_KNN_SQL[_name]), f"knn_{_name}_{_how}_every100")(_knn(_name, _how, asked_all))
+for _how, _title in (("mean", "range_fr_scan"), ("max", "range_fr_scan_max"), ("own", "range_fr_scan_own"), ("index", "range_fr_index")):
+    _query(_every(ORACLES[_title]), f"{_title}_every100")(_filtered(_how, asked_all))
+for _name, _title in (("part_paths", "sad_pairs_part"), ("week_paths", "sad_pairs_week")):
+    _query(_every(ORACLES[_title]), f"{_title}_every100")(_pair_query(_name, "sad", None))
+
 # Partitioning, joins, updates, relations
 
 _CENTERS = f"p as {_POINTS}, c as (select row_number() over (order by id)::int - 1 as cell, * from (select * from p order by md5(id || '|1'), id limit 8)), dd as (select p.id as obj_id, c.cell, sqrt((p.x - c.x) * (p.x - c.x) + (p.y - c.y) * (p.y - c.y)) as d from p, c), near as (select obj_id, arg_min(cell, (d, cell)) as cell, min(d) as cell_dist from dd group by obj_id)"

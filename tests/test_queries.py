@@ -41,6 +41,14 @@ def test_twin(spark, duck, small, name):
     assert rows(got) == rows(want)
 
 
+def test_searches_grow_with_the_set(spark, small):
+    for name in ("order_points", "doc_words", "part_paths", "letter_hist"):
+        objs = objects(spark, small, name)
+        want = sorted(r.obj_id for r in objs.where("obj_id % 100 = 0").select("obj_id").collect())
+        got = QUERIES[f"knn_{name}_tree_every100"](spark, small).select("query_id").distinct().collect()
+        assert want and sorted(r.query_id for r in got) == want
+
+
 def test_entry_and_registry(spark, small):
     assert entry.entry(spark).count() > 0
     assert set(ORACLES) <= set(QUERIES)
