@@ -51,19 +51,21 @@ def op_project_case(spark, d):
     return load(spark, d, "orders", "o_orderkey", "o_totalprice").select("o_orderkey", F.when(p < 100000, "low").when(p < 300000, "mid").otherwise("high").alias("band"))
 
 
-def _roundtrip(form: str):
+def _roundtrip(form: str, whole: bool = False):
     def run(spark, d):
         path = scratch.new_path(spark, f"roundtrip-{form}")
-        df = load(spark, d, "orders", "o_orderkey", "o_custkey", "o_totalprice", "o_orderpriority").where("o_orderkey <= 1000")
+        df = load(spark, d, "orders", "o_orderkey", "o_custkey", "o_totalprice", "o_orderpriority")
+        df = df if whole else df.where("o_orderkey <= 1000")
         write_any(df, path, form)
         return read_any(spark, path, form, df.schema)
 
-    run.__name__ = f"op_roundtrip_{form}"
+    run.__name__ = f"op_roundtrip_{form}{'_whole' if whole else ''}"
     return run
 
 
 for _form in ("parquet", "csv", "json", "orc"):
     _op("select o_orderkey, o_custkey, o_totalprice, o_orderpriority from orders where o_orderkey <= 1000")(_roundtrip(_form))
+    _op("select o_orderkey, o_custkey, o_totalprice, o_orderpriority from orders")(_roundtrip(_form, True))
 
 
 @_op("select n_nationkey, case when n_regionkey = 1 then upper(n_name) else n_name end as name, n_regionkey from nation")
@@ -242,6 +244,13 @@ def op_unpivot(spark, d):
     return rows.unpivot(keys, ["quantity", "discount"], "measure", "amount")
 
 
+@_op("unpivot (select l_orderkey, l_partkey, l_suppkey, l_linenumber, l_shipdate, l_quantity as quantity, l_discount as discount from lineitem) on quantity, discount into name measure value amount")
+def op_unpivot_whole(spark, d):
+    keys = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_shipdate"]
+    rows = load(spark, d, "lineitem", *keys, "l_quantity", "l_discount").withColumnsRenamed({"l_quantity": "quantity", "l_discount": "discount"})
+    return rows.unpivot(keys, ["quantity", "discount"], "measure", "amount")
+
+
 @_op("select o_orderkey, row_number() over w as rn, rank() over w as rk, dense_rank() over w as dr, ntile(4) over w as nt from orders window w as (partition by o_custkey order by o_totalprice, o_orderkey)")
 def op_win_rank(spark, d):
     w = Window.partitionBy("o_custkey").orderBy("o_totalprice", "o_orderkey")
@@ -414,4 +423,10 @@ def op_udtf(spark, d):
     return spark.sql("select p.obj_id, count(*) as n, round(sum(u.x1 - u.x0), 6) as run from {p} p, lateral units(p.obj) u group by p.obj_id", p=paths)
 
 
+@_op(f"with {_VERTICES} select obj_id, count(*) as n, round(sum(dx), 6) as run from (select obj_id, lead(x) over w - x as dx from v window w as (partition by obj_id order by s)) where dx is not null group by obj_id")
+def op_udtf_whole(spark, d):
+    register.register_functions(spark)
+    return spark.sql("select p.obj_id, count(*) as n, round(sum(u.x1 - u.x0), 6) as run from {p} p, lateral units(p.obj) u group by p.obj_id", p=objects(spark, d, "part_paths"))
+
+
 __all__ = ["ORACLES", "QUERIES", "movements"]

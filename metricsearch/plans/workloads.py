@@ -137,7 +137,15 @@ def euclid_pairs(spark, d):
 @_query(f"with {_aligned('part_paths')} select obj_id, s0, s1, round(x1 - x0, 6) as dx from g where obj_id <= 50")
 def align_units(spark, d):
     """Aligned movements as units."""
-    m = objects(spark, d, "part_paths").where("obj_id <= 50")
+    return _units(objects(spark, d, "part_paths").where("obj_id <= 50"))
+
+
+@_query(f"with {_aligned('part_paths')} select obj_id, s0, s1, round(x1 - x0, 6) as dx from g")
+def align_units_whole(spark, d):
+    return _units(objects(spark, d, "part_paths"))
+
+
+def _units(m: DataFrame) -> DataFrame:
     units = F.transform(F.sequence(F.lit(1), F.size("obj.s") - 1), lambda i: F.struct(F.element_at("obj.s", i).alias("s0"), F.element_at("obj.s", i + 1).alias("s1"), F.round(F.element_at("obj.x", i + 1) - F.element_at("obj.x", i), 6).alias("dx")))
     return m.select("obj_id", F.explode(units).alias("u")).select("obj_id", "u.*")
 
@@ -419,6 +427,24 @@ def delete_then_knn(spark, d):
     return ix.knn(tree, asked(kept))[0].select("query_id", "rank", "obj_id", F.round("dist", 6).alias("dist"))
 
 
+@_query(_every(_RANGE_SQL["order_points"]))
+def insert_then_range_whole(spark, d):
+    objs = objects(spark, d, "order_points")
+    tree = ix.insert(ix.build(objs.where("obj_id % 5 <> 0"), "euclid", DEGREE, LEAF), objs.where("obj_id % 5 = 0"))
+    return ix.results(ix.range_search(tree, asked_all(objs, r=RADII["order_points"]))).select("query_id", "obj_id", F.round("dist", 6).alias("dist"))
+
+
+@_query(None)
+def range_join_orders_whole(spark, d):
+    """All orders with all orders; held against brute force in tests, as a nested loop is too slow on large tables."""
+    return voronoi.range_join(objects(spark, d, "order_points"), objects(spark, d, "order_points"), 12.0000137, "euclid", 16).select("s_id", "t_id", F.round("dist", 6).alias("dist"))
+
+
+@_query(None)
+def range_join_orders_tree_whole(spark, d):
+    return voronoi.range_join(objects(spark, d, "order_points"), objects(spark, d, "order_points"), 12.0000137, "euclid", 16, local="tree").select("s_id", "t_id", F.round("dist", 6).alias("dist"))
+
+
 @_query("select o_orderkey as obj_id from orders")
 def index_roundtrip_members(spark, d):
     path = scratch.new_path(spark, "index")

@@ -152,9 +152,19 @@ def stream_standing_range(spark, d):
 def stream_index_inserts(spark, d):
     """Batches of new objects inserted into the touched parts of an index."""
     objs = objects(spark, d, "order_points")
-    held = {"index": ix.build(objs.where("obj_id % 4 = 0"), "euclid", DEGREE, LEAF)}
+    return _inserted(spark, objs.where("obj_id % 4 = 0"), objs.where("obj_id % 40 = 1"))
+
+
+@_query("select o_orderkey as obj_id from orders")
+def stream_index_inserts_whole(spark, d):
+    objs = objects(spark, d, "order_points")
+    return _inserted(spark, objs.where("obj_id % 4 <> 1"), objs.where("obj_id % 4 = 1"))
+
+
+def _inserted(spark: SparkSession, base: DataFrame, objs: DataFrame) -> DataFrame:
+    held = {"index": ix.build(base, "euclid", DEGREE, LEAF)}
     path, mark = scratch.new_path(spark, "stream-points", "stream"), scratch.new_path(spark, "mark", "stream")
-    objs.where("obj_id % 40 = 1").coalesce(1).write.parquet(path)
+    objs.coalesce(1).write.parquet(path)
 
     def insert(batch: DataFrame, number: int) -> None:
         held["index"] = ix.insert(held["index"], batch)

@@ -49,6 +49,20 @@ def test_searches_grow_with_the_set(spark, small):
         assert want and sorted(r.query_id for r in got) == want
 
 
+@pytest.mark.parametrize("name", ["op_roundtrip_csv_whole", "op_unpivot_whole", "op_udtf_whole"])
+def test_whole_tables(spark, duck, small, name):
+    test_twin(spark, duck, small, name)
+
+
+@pytest.mark.parametrize("name", ["range_join_orders_whole", "range_join_orders_tree_whole"])
+def test_whole_join(spark, small, name):
+    p = objects(spark, small, "order_points").select("obj_id", "obj.x", "obj.y").toPandas()
+    dist = np.hypot(p.x.to_numpy()[:, None] - p.x.to_numpy(), p.y.to_numpy()[:, None] - p.y.to_numpy())
+    i, j = np.nonzero(dist <= 12.0000137)
+    ids = p.obj_id.to_numpy()
+    assert sorted((r.s_id, r.t_id) for r in QUERIES[name](spark, small).collect()) == sorted(zip(ids[i].tolist(), ids[j].tolist()))
+
+
 def test_entry_and_registry(spark, small):
     assert entry.entry(spark).count() > 0
     assert set(ORACLES) <= set(QUERIES)
