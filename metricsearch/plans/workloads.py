@@ -464,15 +464,37 @@ def index_leaf_partition_check(spark, d):
 def distance_histogram(objs: DataFrame, metric: str, n: int = 1000, width: float = 10.0) -> DataFrame:
     """(bin, n) of the distances between the first n objects by md5 and their successors in that order, cyclically at
     strides 1 to 25: distinct pairs, the same for any layout. Both sides are small and measured in place."""
-    from ..functions.register import pairwise
-
     some = pick(objs, n).withColumn("h", F.md5(F.concat(F.col("obj_id").cast("string"), F.lit("|1"))))
     size = min(n, some.count())
     ids = [r["obj_id"] for r in some.orderBy("h", "obj_id").select("obj_id").collect()]
     pairs = [(ids[i], ids[(i + s) % size]) for s in range(1, min(26, size)) for i in range(size)]
     table = objs.sparkSession.createDataFrame(pairs, "a_id long, b_id long")
     some = some.select("obj_id", "obj")
-    both = table.join(F.broadcast(some.toDF("a_id", "a")), "a_id").join(F.broadcast(some.toDF("b_id", "b")), "b_id")
+    return _histogram(table.join(F.broadcast(some.toDF("a_id", "a")), "a_id").join(F.broadcast(some.toDF("b_id", "b")), "b_id"), metric, width)
+
+
+def spread_pairs(objs: DataFrame, most: int = 500_000) -> DataFrame:
+    """(a_id, b_id): ``most`` distinct pairs over all objects, or all pairs where there are fewer.
+
+    Objects stand in a circle in the order of md5; all are paired with their successors at stride 1, then 2 and so on."""
+    order = objs.select("obj_id").orderBy(F.md5(F.concat(F.col("obj_id").cast("string"), F.lit("|1"))), "obj_id")
+    placed = scratch.write_table(objs.sparkSession.createDataFrame(order.rdd.zipWithIndex().map(lambda x: (x[1], x[0][0])), "i long, a_id long"), "circle")
+    n = placed.count()
+    if n * (n - 1) // 2 <= most:
+        return placed.join(placed.toDF("j", "b_id"), F.col("i") < F.col("j")).select("a_id", "b_id")
+    steps = placed.withColumn("s", F.explode(F.sequence(F.lit(1), F.lit(-(-most // n))))).where((F.col("s") - 1) * n + F.col("i") < most)
+    return steps.withColumn("j", (F.col("i") + F.col("s")) % n).join(placed.toDF("j", "b_id"), "j").select("a_id", "b_id")
+
+
+def distance_histogram_whole(objs: DataFrame, metric: str, width: float = 10.0, most: int = 500_000) -> DataFrame:
+    """(bin, n) of the distances of :func:`spread_pairs`."""
+    some = objs.select("obj_id", "obj")
+    return _histogram(spread_pairs(objs, most).join(some.toDF("a_id", "a"), "a_id").join(some.toDF("b_id", "b"), "b_id"), metric, width)
+
+
+def _histogram(both: DataFrame, metric: str, width: float) -> DataFrame:
+    from ..functions.register import pairwise
+
     dist = {"l1": lambda: columns.l1(F.col("a"), F.col("b")), "jaccard": lambda: columns.jaccard(F.col("a"), F.col("b")), "euclid": lambda: columns.euclid(F.col("a.x"), F.col("a.y"), F.col("b.x"), F.col("b.y"))}.get(metric, lambda: pairwise(metric)("a", "b"))()
     return both.groupBy(F.floor(F.round(dist, 9) / width).alias("bin")).agg(F.count("*").alias("n"))
 
@@ -483,6 +505,7 @@ for _name, _width in _WIDTHS.items():
     if _name in _FORMS and _name != "doc_words":
         _sql = f"with e as {_FORMS[_name][0]}, o as (select *, row_number() over (order by md5(id || '|1'), id) - 1 as i from e order by i limit 300), n as (select count(*) as n from o) select floor(round({_FORMS[_name][1]}, 9) / {_width})::bigint as bin, count(*) as n from o q, o e, n, range(1, 26) t(s) where s < n.n and e.i = (q.i + s) % n.n group by bin"
     _query(_sql, f"distance_histogram_{_name}")(lambda spark, d, _n=_name, _w=_width: distance_histogram(objects(spark, d, _n), SETS[_n], 300, _w))
+    _query(None, f"distance_histogram_{_name}_whole")(lambda spark, d, _n=_name, _w=_width: distance_histogram_whole(objects(spark, d, _n), SETS[_n], _w))
 
 
 @_query(f"with p as {_POINTS}, q as (select * from p order by md5(id || '|1'), id limit {ASKED}), r as (select unnest([5.0, 400.0, 750.0, 1250.0, 2450.0]) as r) select r, count(*) as n from q, p, r where sqrt((p.x - q.x) * (p.x - q.x) + (p.y - q.y) * (p.y - q.y)) <= r group by r")

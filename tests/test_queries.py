@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 import __spark_entry__ as entry
 from metricsearch.operators import filter_refine, scan, voronoi
 from metricsearch.plans import index as ix
-from metricsearch.plans.workloads import asked
+from metricsearch.plans.workloads import asked, distance_histogram_whole, spread_pairs
 from metricsearch.sources.objects import SETS, objects, pick
 from metricsearch.sources.tables import sink_noop
 
@@ -63,6 +63,21 @@ def test_whole_join(spark, small, name):
     assert sorted((r.s_id, r.t_id) for r in QUERIES[name](spark, small).collect()) == sorted(zip(ids[i].tolist(), ids[j].tolist()))
 
 
+def test_histogram_of_all_objects(spark, small):
+    objs = objects(spark, small, "order_points")
+    n = objs.count()
+    for most in (500_000, 2 * n + 7, n // 2):
+        pairs = [tuple(sorted((r.a_id, r.b_id))) for r in spread_pairs(objs, most).collect()]
+        assert len(pairs) == len(set(pairs)) == most and all(a < b for a, b in pairs)
+        assert most < n or len({x for p in pairs for x in p}) == n
+    few = objs.limit(40).persist()
+    assert spread_pairs(few).count() == 780
+    p = few.select("obj_id", "obj.x", "obj.y").toPandas()
+    d = np.hypot(p.x.to_numpy()[:, None] - p.x.to_numpy(), p.y.to_numpy()[:, None] - p.y.to_numpy())[np.triu_indices(40, 1)]
+    bins, count = np.unique(np.floor(np.round(d, 9) / 100.0), return_counts=True)
+    assert sorted((r.bin, r.n) for r in distance_histogram_whole(few, "euclid", 100.0).collect()) == list(zip(bins.astype(int).tolist(), count.tolist()))
+
+
 def test_entry_and_registry(spark, small):
     assert entry.entry(spark).count() > 0
     assert set(ORACLES) <= set(QUERIES)
