@@ -1,9 +1,10 @@
 """Chat formatting with a grammar that reads back exactly, in DataFrame functions only.
 
-A turn is written ``<turn ROLE>``, a line feed, its text, ``</turn>`` and a line feed. The parser cuts at
-``</turn>`` and the line feed, takes the role up to ``>`` and undoes escapes: backslash-l is ``<``, backslash-b is
-a backslash, backslash-g is ``>``. A turn is first written as it is; if the parser would not return it unchanged, its
-conflicting characters are escaped. The whole conversation is parsed again and must equal its source.
+A turn is written ``<turn ROLE>``, a line feed, its text, ``</turn>`` and a line feed. The parser ends a turn at every
+``</turn>`` and begins one at every ``<turn ``, takes the role up to ``>`` and a line feed and undoes escapes:
+backslash-l is ``<``, backslash-b is a backslash, backslash-g is ``>``. A turn is first written as it is; if the parser
+would not return it unchanged, as with any marker or escape inside its role or text, its conflicting characters are
+escaped. The whole conversation is parsed again and must equal its source. So no marker ever stands inside a text.
 """
 
 from __future__ import annotations
@@ -12,8 +13,10 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 # Fixed values of the template.
-OPEN, SHUT, CLOSE = "<turn ", ">\n", "</turn>\n"
+OPEN, SHUT, CLOSE, END = "<turn ", ">\n", "</turn>", "\n"
 ESCAPES = (("\\", "\\b"), ("<", "\\l"), (">", "\\g"))
+BLOCK = 1024  # code points of the blocks that masked spans are cut from
+_WHOLE = 2147483647
 
 
 def escape(text: Column) -> Column:
@@ -29,21 +32,19 @@ def unescape(text: Column) -> Column:
 
 
 def _turn(role: Column, text: Column) -> Column:
-    return F.concat(F.lit(OPEN), role, F.lit(SHUT), text, F.lit(CLOSE))
+    return F.concat(F.lit(OPEN), role, F.lit(SHUT), text, F.lit(CLOSE + END))
 
 
 def parse(formatted: Column) -> Column:
     """array<struct<role, text>> of a formatted conversation."""
-    pieces = F.split(formatted, CLOSE)  # holds no pattern characters
-    pieces = F.slice(pieces, F.lit(1), F.size(pieces) - 1)
+    bodies = F.flatten(F.transform(F.split(formatted, CLOSE), lambda x: F.slice(F.split(x, OPEN), F.lit(2), F.size(F.split(x, OPEN)))))  # no pattern characters
 
-    def one(piece: Column) -> Column:
-        body = F.substring(piece, len(OPEN) + 1, F.lit(2147483647))
+    def one(body: Column) -> Column:
         role = F.substring_index(body, SHUT, 1)
-        text = F.substring(body, F.length(role) + len(SHUT) + 1, F.lit(2147483647))
+        text = F.substring(body, F.length(role) + len(SHUT) + 1, F.lit(_WHOLE))
         return F.struct(unescape(role).alias("role"), unescape(text).alias("text"))
 
-    return F.transform(pieces, one)
+    return F.transform(bodies, one)
 
 
 def render(role: Column, text: Column) -> tuple[Column, Column]:
@@ -67,7 +68,7 @@ def format_conversations(turns: DataFrame, loss_role: str = "assistant") -> Data
     rows = rows.select("conv_id", "turn", "role", "text", segment.alias("segment"), F.length(shown).alias("shown"))
     order = Window.partitionBy("conv_id").orderBy("turn", "role", "text")
     rows = rows.withColumn("rank", F.row_number().over(order))
-    rows = rows.withColumn("end", F.sum(F.length("segment")).over(order.rowsBetween(Window.unboundedPreceding, 0)) - len(CLOSE))
+    rows = rows.withColumn("end", F.sum(F.length("segment")).over(order.rowsBetween(Window.unboundedPreceding, 0)) - len(CLOSE + END))
     gathered = rows.groupBy("conv_id").agg(F.array_sort(F.collect_list(F.struct("rank", "role", "text", "segment", "end", "shown"))).alias("all"))
     formatted = F.array_join(F.col("all.segment"), "")
     spans = F.transform(F.filter("all", lambda x: x["role"] == loss_role), lambda x: F.struct((x["end"] - x["shown"]).alias("start"), x["end"].alias("end")))
@@ -77,12 +78,28 @@ def format_conversations(turns: DataFrame, loss_role: str = "assistant") -> Data
     return done.select("conv_id", checked.alias("formatted"), "loss_spans")
 
 
-def read_back(formatted: DataFrame, loss_role: str = "assistant") -> DataFrame:
-    """Digests of formatted conversations, taken from what the parser returns and from the text under the mask."""
-    rows = formatted.select("conv_id", "formatted", parse(F.col("formatted")).alias("turns"))
+def masked(formatted: Column, spans: Column) -> Column:
+    """Text of ``formatted`` under ``spans``, each unescaped, in order; empty where there are none.
+
+    A span is cut from the blocks it lies in, so the cost does not grow with the spans times the whole length.
+    """
+    blocks = F.regexp_extract_all(formatted, F.lit(f"(?s).{{1,{BLOCK}}}"), F.lit(0))
+
+    def one(span: Column, blocks: Column) -> Column:
+        first, last = F.floor(span["start"] / BLOCK).cast("int"), F.floor(span["end"] / BLOCK).cast("int")
+        near = F.array_join(F.slice(blocks, first + 1, last - first + 1), "")
+        return unescape(F.substring(near, (span["start"] % BLOCK + 1).cast("int"), (span["end"] - span["start"]).cast("int")))
+
+    empty = F.array().cast("array<struct<start:bigint,end:bigint>>")
+    return F.element_at(F.transform(F.array(blocks), lambda b: F.array_join(F.transform(F.coalesce(spans, empty), lambda x: one(x, b)), "")), 1)
+
+
+def read_back(formatted: DataFrame) -> DataFrame:
+    """Digests of formatted conversations: of the turns that the parser returns, and of the text that stands under
+    ``loss_spans``, cut from ``formatted`` and unescaped. Null spans mask nothing. Other columns are left out."""
+    rows = formatted.select("conv_id", "formatted", parse(F.col("formatted")).alias("turns"), masked(F.col("formatted"), F.col("loss_spans")).alias("learnt"))
     said = F.array_join(F.transform("turns", lambda x: F.concat(x["role"], F.lit("\n"), x["text"], F.lit("\n"))), "")
-    learnt = F.array_join(F.transform(F.filter("turns", lambda x: x["role"] == loss_role), lambda x: x["text"]), "")
-    rows = rows.select("conv_id", "formatted", F.size("turns").cast("long").alias("n_turns"), said.alias("said"), learnt.alias("learnt"))
+    rows = rows.select("conv_id", "formatted", F.size("turns").cast("long").alias("n_turns"), said.alias("said"), "learnt")
     return rows.select(
         "conv_id", "n_turns", F.sha2(F.col("said").cast("binary"), 256).alias("turns_sha256"), F.length("learnt").cast("long").alias("loss_chars"),
         F.sha2(F.col("learnt").cast("binary"), 256).alias("loss_sha256"), F.length("formatted").cast("long").alias("formatted_chars"),

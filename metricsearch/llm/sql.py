@@ -26,7 +26,8 @@ with turns as (
   union all select -7, 0, 'user', '\### Assistant: </turn> ok' union all select -7, 1, 'assistant', '\### Assistant: </turn> ok'),
 plain as (select *, '<turn ' || role || '>' || chr(10) || text || '</turn>' || chr(10) as raw,
   replace(replace(replace(role, '\', '\b'), '<', '\l'), '>', '\g') as role_e, replace(replace(replace(text, '\', '\b'), '<', '\l'), '>', '\g') as text_e,
-  (contains(text, '</turn>' || chr(10)) or regexp_matches(text, '\\[lbg]') or contains(role, '>' || chr(10)) or contains(role, '</turn>' || chr(10)) or regexp_matches(role, '\\[lbg]')) as clash from turns),
+  (contains(text, '</turn>') or contains(text, '<turn ') or regexp_matches(text, '\\[lbg]')
+    or contains(role, '>' || chr(10)) or contains(role, '</turn>') or contains(role, '<turn ') or regexp_matches(role, '\\[lbg]')) as clash from turns),
 segments as (select *, case when clash then '<turn ' || role_e || '>' || chr(10) || text_e || '</turn>' || chr(10) else raw end as segment from plain)
 select conv_id, count(*)::bigint as n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' order by turn nulls first, role, text)) as turns_sha256,
   coalesce(sum(length(text)) filter (role = 'assistant'), 0)::bigint as loss_chars,

@@ -341,6 +341,30 @@ def test_chat_edges(spark):
     assert chat.format_conversations(df.limit(0)).count() == 0
 
 
+def test_chat_mask_is_read(spark):
+    rows = [(1, 0, "user", "hello <turn x"), (1, 1, "assistant", "a </turn> b 😀" + "long " * 900), (1, 2, "user", "</turn>"), (1, 3, "assistant", "\\\\l end"), (1, 4, "assistant", "")]
+    got = chat.format_conversations(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string"))
+    learnt = "".join(x[3] for x in rows if x[2] == "assistant")
+    right = chat.read_back(got).first()
+    assert (right.loss_chars, right.loss_sha256) == (len(learnt), hashlib.sha256(learnt.encode()).hexdigest())
+    shifted = got.withColumn("loss_spans", F.expr("transform(loss_spans, x -> struct(x.start + 1 as start, x.end + 1 as end))"))
+    assert chat.read_back(shifted).first().loss_sha256 != right.loss_sha256
+    none = chat.read_back(got.withColumn("loss_spans", F.lit(None).cast("array<struct<start:bigint,end:bigint>>"))).first()
+    assert (none.loss_chars, none.loss_sha256) == (0, hashlib.sha256(b"").hexdigest())
+    shown = got.first()
+    assert shown.formatted.count("</turn>") == shown.formatted.count("<turn ") == 5
+
+
+def test_chat_escapes_the_extra_conversation(spark, small):
+    shown = {}
+    plain, chat.read_back = chat.read_back, lambda x: shown.setdefault("rows", x)
+    try:
+        queries.QUERIES["op6_chat_format"](spark, small)
+    finally:
+        chat.read_back = plain
+    assert shown["rows"].where("conv_id = -7").first().formatted.count("</turn>") == 2
+
+
 # 7
 
 
