@@ -1,11 +1,12 @@
 """Exact top-k search by integer inner product with MaxScore over signed posting lists.
 
-Each dimension is two terms: the rows where it is positive and those where it is negative. A query's weight on a term
-and the largest absolute value in the term's list bound what the term can add. Terms in falling order of bound are
-essential until the bounds of all others together stay below the query's k-th best score so far; a row that is in no
-essential list cannot compete. Essential lists are added up for their rows; then the other terms are probed block by
-block, for rows whose score so far and remaining bounds still reach the k-th best. Shards (partitions of the rows)
-keep k rows for each query, and the shards' results are merged.
+Each dimension is two terms: the rows where it is positive and those where it is negative. A shard keeps a posting list
+(row numbers in order, and values) for every term. A query's weight and the largest value in the list of its own sign
+bound what a term can add; lists of the other sign only take away, so their bound is 0. Terms in falling order of bound
+are essential until all others together stay below the query's k-th best score so far, by the sum of their bounds or by
+the length of their weights times a row's length. Only the essential lists are traversed; a row in none of them cannot
+compete. The others are probed, a few terms at a time, for rows whose score so far and remaining bound still reach the
+k-th best. Shards (partitions of the rows) keep k rows for each query, and the shards' results are merged.
 """
 
 from __future__ import annotations
@@ -17,9 +18,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-BLOCK = 4096  # rows that are scored together
-QUERIES_AT_ONCE = 200_000  # queries sent to the executors in one pass over the rows; more queries make more passes
-PROBES = 8  # dimensions probed between two looks at the bounds
+BLOCK = 4096  # rows of a shard
+QUERY_BYTES = 32 << 20  # of queries sent to the executors in one pass over the rows; more queries make more passes
+PROBES = 8  # terms probed between two looks at the bounds
 
 
 def quantise(vector: str = "embedding", scale: int = 256) -> F.Column:
@@ -41,28 +42,44 @@ def _matrix(column: pa.Array, width: int | None = None) -> np.ndarray:
 
 
 class Shard:
-    """Up to ``BLOCK`` rows with the bounds of their posting lists."""
+    """Posting lists of up to ``BLOCK`` rows, with the largest value in each and the rows' lengths.
 
-    def __init__(self, ids: np.ndarray, rows: np.ndarray):
-        self.ids = ids
+    With ``counting``, ``read`` is the number of postings that searches have traversed or probed, and ``held`` that of
+    all lists of their terms; a row has at most one posting in the two lists of a dimension, and a probe counts as one.
+    """
+
+    def __init__(self, ids: np.ndarray, rows: np.ndarray, counting: bool = False):
+        self.ids, self.n = ids, len(ids)
         self.most, self.least = np.maximum(rows.max(axis=0), 0), np.minimum(rows.min(axis=0), 0)
         self.size = max(int(self.most.max(initial=0)), -int(self.least.min(initial=0)))
-        self.rows = rows
-        self.by_term: np.ndarray | None = None
-        self.lists: tuple[np.ndarray, np.ndarray] | None = None
-
-    def columns(self, exact: bool) -> np.ndarray:
-        """Term-major values; doubles where all sums stay below 2**53, else integers."""
-        if self.by_term is None or self.by_term.dtype != (np.float64 if exact else np.int64):
-            self.by_term = np.ascontiguousarray(self.rows.T, np.float64 if exact else np.int64)
-        return self.by_term
-
-    def posting(self, positive: bool) -> np.ndarray:
-        """Membership of the rows in each term's list, term-major."""
-        if self.lists is None:
-            t = self.rows.T
-            self.lists = (np.ascontiguousarray(t < 0), np.ascontiguousarray(t > 0))
-        return self.lists[positive]
+        self.values = np.ascontiguousarray(rows.T)  # values by term and row number, for probes
+        self.floats = self.values.astype(np.float64)
+        self.squares = self.floats * self.floats
+        self.lengths = np.sqrt(self.squares.sum(axis=0))
+        self.inside = np.stack([self.values < 0, self.values > 0])
+        self.lists = []
+        for inside in self.inside:
+            ends = np.concatenate([[0], np.cumsum(inside.sum(axis=1))])
+            self.lists.append((np.nonzero(inside)[1], self.values[inside], self.floats[inside], ends))
+        self.counting = counting
+        self.read = self.held = 0
+
+    def _traverse(self, terms: np.ndarray, query: np.ndarray, exact: bool) -> np.ndarray:
+        """Sum of the weighted values in the terms' lists, by row."""
+        out = np.zeros(self.n, np.float64 if exact else np.int64)
+        for sign, (rows, values, floats, ends) in enumerate(self.lists):
+            own = terms[(query[terms] > 0) == sign]
+            if not len(own):
+                continue
+            at = [slice(ends[t], ends[t + 1]) for t in own.tolist()]
+            where = np.concatenate([rows[x] for x in at])
+            self.read += len(where)
+            weighted = np.repeat(query[own], [x.stop - x.start for x in at]) * np.concatenate([(floats if exact else values)[x] for x in at])
+            if exact:
+                out += np.bincount(where, weighted, self.n)
+            else:
+                np.add.at(out, where, weighted)
+        return out
 
     def search(self, query: np.ndarray, own: int, k: int, floor: int | None) -> tuple[np.ndarray, np.ndarray]:
         """(score, row) of every row that may be among the query's k best, given the k-th best score so far."""
@@ -70,33 +87,45 @@ class Shard:
         order = np.argsort(-bound, kind="stable")
         order = order[query[order] != 0]
         exact = self.size * max(int(np.abs(query).max(initial=0)), 1) * max(len(query), 1) < 1 << 53
-        data, q = self.columns(exact), query.astype(np.float64) if exact else query
-        if floor is None or not len(order):
-            alive, score, done = np.arange(len(self.ids)), q[order] @ data[order] if len(order) else np.zeros(len(self.ids), data.dtype), len(order)
+        data, q = (self.floats, query.astype(np.float64)) if exact else (self.values, query)
+        self.held += self.n * len(order)
+        if floor is None or floor <= 0 or not len(order):  # a row without any posting may compete: all lists are essential
+            self.read += self.n * len(order)
+            score = (q[order] @ data[order] if len(order) else np.zeros(self.n, data.dtype)).astype(np.int64)
+            keep = (self.ids != own) & ((score >= floor) if floor is not None else True)
+            return score[keep], np.flatnonzero(keep)
+        weight = query[order].astype(np.float64)
+        sums = np.concatenate([np.cumsum(bound[order][::-1])[::-1], [0]])  # what the terms from i on can add
+        length = np.sqrt(np.concatenate([np.cumsum((weight * weight)[::-1])[::-1], [0.0]])) * (1 + 1e-9)
+        slack = 1 + 1e-9 * (floor + float(sums[0]))  # more than what rounding takes away
+        limit = np.minimum(sums, length * self.lengths.max(initial=0)) + slack
+        if limit[0] < floor:
+            return np.zeros(0, np.int64), np.zeros(0, np.int64)
+        essential = int(np.argmax(limit < floor))
+        score = self._traverse(order[:essential], q, exact)
+        alive = np.flatnonzero(score + np.minimum(sums[essential], length[essential] * self.lengths) + slack >= floor)
+        # Probes: lists of the other sign for the essential terms, which can only take away, then both lists of the others.
+        first = order[:essential]
+        if 4 * len(alive) > self.n:  # so many probes that whole lists are read faster
+            mine, ones = np.zeros(len(q), q.dtype), np.zeros(len(q))
+            mine[first], ones[first] = q[first], 1
+            score, seen = (mine @ data)[alive], (ones @ self.squares)[alive]
         else:
-            rest = np.concatenate([np.cumsum(bound[order][::-1])[::-1], [0]])  # what the terms from i on can add
-            if rest[0] < floor:
-                return np.zeros(0, np.int64), np.zeros(0, np.int64)
-            done = max(1, int(np.searchsorted(-rest, -floor, "right")) if floor > 0 else len(order))
-            first = order[:done]  # essential: the others together stay below the floor
-            if floor > 0:
-                seen = np.zeros(len(self.ids), bool)
-                for term in first.tolist():
-                    seen |= self.posting(bool(query[term] > 0))[term]
-                    if seen.all():
-                        break
-                alive = np.flatnonzero(seen)
-            else:
-                alive = np.arange(len(self.ids))
-            at, score = 0, np.zeros(len(alive), data.dtype)
-            while at < len(order) and len(alive):
-                now = order[at : at + PROBES]
-                part = data[now] if len(alive) == len(self.ids) else data[now[:, None], alive[None, :]]
-                score = score + q[now] @ part
-                at += len(now)
-                keep = score + rest[at] >= floor
-                if not keep.all():
-                    alive, score = alive[keep], score[keep]
+            part = data[first[:, None], alive[None, :]]
+            score, seen = q[first] @ part, np.square(part, dtype=np.float64).sum(axis=0)
+        self.read += essential * len(alive) - int(self.inside[(query[first] > 0).astype(int), first][:, alive].sum()) if self.counting else 0
+        for at in range(essential, len(order) + PROBES, PROBES):
+            known = min(at, len(order))
+            rest = np.sqrt(np.maximum(self.lengths[alive] ** 2 - seen, 0)) * length[known]
+            keep = score + np.minimum(sums[known], rest) + slack >= floor
+            if not keep.all():
+                alive, score, seen = alive[keep], score[keep], seen[keep]
+            now = order[at : at + PROBES]
+            if not len(now) or not len(alive):
+                break
+            part = data[now[:, None], alive[None, :]]
+            self.read += part.size
+            score, seen = score + q[now] @ part, seen + np.square(part, dtype=np.float64).sum(axis=0)
         score = score.astype(np.int64)
         keep = self.ids[alive] != own
         return score[keep], alive[keep]
@@ -142,21 +171,21 @@ def _search_shards(queries, k: int):
     return run
 
 
-def top_k(vectors: DataFrame, every: int = 50, k: int = 5, scale: int = 256, vector: str = "embedding") -> DataFrame:
+def top_k(vectors: DataFrame, every: int = 50, k: int = 5, scale: int = 256, vector: str = "embedding", query_bytes: int = QUERY_BYTES) -> DataFrame:
     """(query_id, rank, vec_id, score) of the k best rows for each row whose vec_id is divisible by ``every``.
 
     Scores are exact integer inner products of floor(scale * component); ties go to the smaller vec_id. Candidates are
     all rows of another vec_id. Rows whose vector or vec_id is null, or whose vector holds a null or non-finite
     component, take no part; components must stay below 2**31 in size once scaled. Shorter vectors count as filled
     with 0. Repeated rows are candidates each; a repeated query id is asked once for each distinct vector, and ranked
-    together. Queries go out ``QUERIES_AT_ONCE`` at a time as one integer matrix (100 MB at 64 dimensions), each pass
-    reads all rows, and only k rows for each query and partition are shuffled. Other columns are left out.
+    together. Queries go out as integer matrices of about ``query_bytes`` each, whatever their width; each pass reads
+    all rows, and only k rows for each query and partition are shuffled. Other columns are left out.
     """
     spark = vectors.sparkSession
     rows = vectors.select("vec_id", quantise(vector, scale).alias("q")).where("vec_id is not null and q is not null")
     asked = rows.where(F.col("vec_id") % every == 0).distinct()
-    total = asked.count()
-    passes = max(1, -(-total // QUERIES_AT_ONCE))
+    total, width = asked.agg(F.count("*"), F.max(F.size("q"))).first()
+    passes = max(1, -(-total * 8 * max(width or 0, 1) // query_bytes))
     found = None
     for n in range(passes):
         mine = asked.where(F.pmod(F.xxhash64("vec_id", "q"), F.lit(passes)) == n).orderBy("vec_id", "q").toArrow()
