@@ -2,10 +2,12 @@
 
 Markup is stripped first: every block element ends a line, and elements that never hold an article (navigation,
 headers and footers, asides, forms, scripts, styles, and those whose class or id names such a part or reader
-comments) leave a gap. Then text lengths are summed over sliding windows of lines; a window that surges above a
-threshold opens the main text, the first empty window after it is the dive that closes it, and all lines between are
-kept. Gaps are as wide as a window, so no window looks across one; short runs that gaps cut off from the main text stay
-in it where they lie between two parts of it, or next to one in its container. Words inside links count nothing.
+comments) leave a gap. Tags shape a line's weight and no more: words inside links count nothing, lines that an element
+declares as main text weigh ``DECLARED`` times their length, and where there are such lines all others weigh nothing.
+Then weights are summed over sliding windows of lines, on every page alike; a window that surges above a threshold
+opens the main text, the first empty window after it is the dive that closes it, and all lines between are kept. Gaps
+are as wide as a window, so no window looks across one; stretches without a surge that gaps cut off from the main text
+stay in it where they lie between two parts of it, or next to one in its container.
 """
 
 from __future__ import annotations
@@ -19,7 +21,8 @@ import regex
 from pyspark.sql import DataFrame
 
 WINDOW = 3  # lines in a block
-SURGE = 80  # characters of a block that opens the main text, where no element declares it
+SURGE = 80  # weight of a block that opens the main text
+DECLARED = 10  # weight of a character that an element declares as main text
 LINK_SHARE = 0.5  # lines with more of their text in links count nothing
 
 # Elements of HTML by their part in a page.
@@ -37,6 +40,7 @@ COMMENTS = regex.compile(r"comments?|disqus|replies|respond|discussion")
 # Words of class names: those that say how a page is laid out around a part, and those that may follow a part's name.
 LAYOUT = frozenset("with without no has not show hide".split())
 AFTER = frozenset("ad ads area bar block body box btn button buttons card column container content form group holder icons inner item items link links list main module outer panel place placeholder row section slot space thread top bottom left right unit widget wrap wrapper zone".split())
+LOOSE = {"p": BLOCKS, "li": {"li"}, "tr": {"tr"}, "td": {"td", "th", "tr"}, "th": {"td", "th", "tr"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}}  # what ends them, where their own end is left out
 INLINE = frozenset("h1 h2 h3 h4 h5 h6 blockquote pre address center figure figcaption dl dir".split())  # blocks of the text around them
 
 _TAG = regex.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*+>|<(/?)([a-zA-Z][^\s/>]*+)((?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+)>|<(/?)([a-zA-Z][^\s/>]*+)([^>]*+)>", regex.S)
@@ -58,6 +62,10 @@ def _names(hint: str, parts: regex.Pattern) -> bool:
     return False
 
 
+def _hint(attributes: str) -> str:
+    return " ".join("".join(x) for x in _CLASS.findall(attributes)).lower() if attributes else ""
+
+
 class _Page:
     """Lines of a page: text, characters outside links, and whether an element declares them as main text.
 
@@ -113,6 +121,13 @@ def _strip(page: str) -> _Page:
         closing, attributes = tag[1] or tag[4], tag[3] or tag[6] or ""
         if name == "a":
             links = 0 if closing else 1
+        if name not in BLOCKS and name not in NEVER and name not in RAW and name not in VOID:
+            if closing and stack and stack[-1][0] == name:
+                stack.pop()
+                skip = any(x[1] for x in stack)
+            elif not closing and not attributes.endswith("/") and (skip or (attributes and not any(x[0] == "pre" for x in stack) and _names(_hint(attributes), HINTS))):
+                stack.append((name, True, False, False, at))
+                skip = True
         elif name == "br":
             out.parts.append(" ")
             out.breaks += 1
@@ -130,14 +145,22 @@ def _strip(page: str) -> _Page:
         elif name in BLOCKS or name in NEVER:
             if not skip:
                 out.end_line(inside)
+            while stack and not closing and name in LOOSE.get(stack[-1][0], ()):
+                stack.pop()
+            skip = any(x[1] for x in stack)
             if closing:
+                while stack and stack[-1][0] not in BLOCKS and stack[-1][0] not in NEVER:  # inline parts that were never closed
+                    stack.pop()
                 places = [i for i, x in enumerate(stack) if x[0] == name]
                 if places:
                     if any(x[3] for x in stack[places[-1] :]):
                         out.gap()
                     del stack[places[-1] :]
-            elif name not in VOID and name not in ("html", "body", "p", "li", "tr", "td", "th", "dt", "dd"):
-                hint = " ".join("".join(x) for x in _CLASS.findall(attributes)).lower() if attributes else ""
+            elif name in LOOSE:
+                if skip or (attributes and _names(_hint(attributes), HINTS)):
+                    stack.append((name, True, False, False, at))
+            elif name not in VOID and name not in ("html", "body"):
+                hint = _hint(attributes)
                 main = (name in MAIN or bool(regex.search(r"(?<![a-z])articlebody(?![a-z])", hint))) and not _names(hint, COMMENTS)
                 left = (name in NEVER and not (name == "header" and inside)) or (name != "article" and name != "main" and _names(hint, HINTS)) or _names(hint, COMMENTS)
                 if main and skip and stack and not any(x[1] and (x[0] in NEVER) for x in stack):
@@ -145,72 +168,95 @@ def _strip(page: str) -> _Page:
                 if left or main:
                     out.gap()
                 stack.append((name, left, main, left or main, at))
-            out.containers = tuple(x[4] for x in stack if x[0] not in INLINE)
+            out.containers = tuple(x[4] for x in stack if x[0] not in INLINE and x[0] not in LOOSE)
             skip, inside = any(x[1] for x in stack), any(x[2] for x in stack)
     if not skip:
         out.end_line(inside)
     return out
 
 
-def _joined(lines: list[tuple[str, int, bool]], within: list[tuple[int, ...]], runs: list[tuple[int, int]]) -> list[str]:
-    """Lines of the runs and of what gaps cut off from them: between two runs, text outside links; and next to a run
-    each line whose container is its container, or holds it or lies in it and is not the body."""
-    text = [i for i, x in enumerate(lines) if x[0]]
+def weights(lines: list[tuple[str, int, bool]]) -> list[int]:
+    """What each line adds to its windows."""
+    if any(x[2] for x in lines):
+        return [DECLARED * max(n, 1) if text and declared else 0 for text, n, declared in lines]
+    return [n if text else 0 for text, n, _ in lines]
+
+
+def surges(weight: list[int], window: int = WINDOW, surge: int = SURGE) -> list[tuple[int, int]]:
+    """(first, end) of the lines between each surge and its dive.
+
+    A line opens a run if it weighs something and the window from it on reaches ``surge``, or the page's largest
+    window where that is less. The run goes on to the first window of weight 0 and ends after its last line with weight.
+    """
+    upto = [0, *accumulate([*weight, *[0] * window])]
+    blocks = [upto[i + window] - upto[i] for i in range(len(weight))]
+    threshold = min(surge, max([1, *blocks]))
+    runs, i = [], 0
+    while i < len(weight):
+        if blocks[i] < threshold or not weight[i]:
+            i += 1
+            continue
+        end = i
+        while end < len(weight) and blocks[end]:
+            end += 1
+        last = max(j for j in range(i, min(end + 1, len(weight))) if weight[j])
+        runs.append((i, last + 1))
+        i = last + 1
+    return runs
+
+
+def _joined(lines: list[tuple[str, int, bool]], weight: list[int], within: list[tuple[int, ...]], runs: list[tuple[int, int]]) -> set[int]:
+    """Numbers of the lines of the runs and of the stretches without a surge that gaps cut off from them: between two
+    runs, lines with weight; and next to kept lines each line whose container is their container, or holds it or lies
+    in it and is not the body. Of lines before a surge in its own stretch, and of declared pages' other lines, none."""
     kept = {i for a, b in runs for i in range(a, b)}
-    kept |= {i for i in text if runs[0][0] <= i < runs[-1][1] and lines[i][1]} if runs else set()
+    stretches, at = [], []
+    for i, x in enumerate(lines):
+        if x[0]:
+            at.append(i)
+        elif at:
+            stretches.append(at)
+            at = []
+    stretches += [at] if at else []
+    declared = any(x[2] for x in lines)
+    may = {i for s in stretches for i in s if not declared or lines[i][2]}
+    for s in stretches:
+        mine = [i for i in s if i in kept]
+        may -= set(s[: s.index(mine[0])]) if mine else set()
+        if runs and not mine and runs[0][0] < s[0] < runs[-1][1]:
+            kept |= {i for i in s if weight[i]}
 
     def near(i: int, j: int) -> bool:
         a, b = within[i], within[j]
         return a == b or bool(a and b and (a == b[: len(a)] or b == a[: len(b)]))
 
+    text = [i for s in stretches for i in s]
     for order, leading in ((text, False), (text[::-1], True)):
         last = None
         for i in order:
             if i in kept:
                 last = i
-            elif last is not None and near(i, last) and not (leading and not lines[i][1]):
+            elif last is not None and i in may and near(i, last) and not (leading and not weight[i]):
                 kept.add(i)
             else:
                 last = None
-    return [lines[i][0] for i in text if i in kept]
+    return kept
 
 
 def main_lines(lines: list[tuple[str, int, bool]], window: int = WINDOW, surge: int = SURGE, within: list[tuple[int, ...]] | None = None) -> list[str]:
-    """Lines between surges and dives. Where elements declare main text, only their lines count, and any text surges.
-
-    With the containers of the lines, ``within``, short runs that gaps cut off from the main text are joined to it."""
-    declared = any(x[2] for x in lines)
-    if declared:
-        lines = [x if x[2] else ("", 0, False) for x in lines]
-        lines = [(t, max(n, 1) if t else 0, d) for t, n, d in lines]
-    padded = [x[1] for x in lines] + [0] * window
-    upto = [0, *accumulate(padded)]
-    blocks = [upto[i + window] - upto[i] for i in range(len(lines))]
-    if not blocks:
-        return []
-    threshold = 1 if declared else min(surge, max(1, max(blocks)))
-    runs, i = [], 0
-    while i < len(lines):
-        if blocks[i] < threshold or not lines[i][1]:
-            i += 1
-            continue
-        end = i
-        while end < len(lines) and blocks[end]:
-            end += 1
-        last = max(j for j in range(i, min(end + 1, len(lines))) if lines[j][1])
-        runs.append((i, last + 1))
-        i = last + 1
-    if within is not None and not declared:
-        return _joined(lines, within, runs)
-    return [x[0] for a, b in runs for x in lines[a:b] if x[0]]
+    """Lines between surges and dives; with the containers of the lines, ``within``, stretches that gaps cut off are joined."""
+    weight, declared = weights(lines), any(x[2] for x in lines)
+    runs = surges(weight, window, surge)
+    kept = {i for a, b in runs for i in range(a, b)} if within is None else _joined(lines, weight, within, runs)
+    return [x[0] for i, x in enumerate(lines) if i in kept and x[0] and (weight[i] or not declared)]
 
 
-def main_text(page: str | None) -> str:
+def main_text(page: str | None, window: int = WINDOW, surge: int = SURGE) -> str:
     """Blocks of the main text, each with single spaces, joined by two line feeds; empty for null or none."""
     if not page:
         return ""
     stripped = _strip(page)
-    return "\n\n".join(main_lines(stripped.lines, within=stripped.within))
+    return "\n\n".join(main_lines(stripped.lines, window, surge, stripped.within))
 
 
 def extract(pages: DataFrame, html_column: str = "html") -> DataFrame:

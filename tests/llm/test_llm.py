@@ -86,6 +86,41 @@ def test_main_text_hints_are_whole_names():
         assert main_text.main_text(f"{body}<div class='{name}'>{body.replace('story', 'other')}</div>").count("other") == 0, name
 
 
+def test_main_text_hints_on_lines_and_inline():
+    body = f"<p>{'Words of the story go on and on until the end of the line. ' * 3}</p>"
+    says = lambda page: main_text.main_text(page).split("\n\n")
+    two = [" ".join(body[3:-4].split())] * 2
+    for lost in ("<p class='advert'>Buy this.</p>", "<p class=advert>Buy this.", "<ul><li class='ad'>Buy this.</ul>", "<table><tr><td class='sidebar'>Buy this.</table>", "<p><span class='ad'>Buy <span>this</span>.</span></p>", "<dl><dd class=ad>Buy this.</dl>", "<p class=ad>Buy <b>this</b> <i>now</p>"):
+        assert says(f"<article>{body}{lost}{body}</article>") == two, lost
+        assert says(f"<div>{body}{lost}{body}</div>") == two, lost
+    assert says(f"<article>{body}<table><tr><td class=ad>Buy<td>A cell.<tr><td>More</table>{body}</article>") == [two[0], "A cell.", "More", two[0]]
+    assert says("<article><p>Plain <span class='ad'>Buy</span>words.<ul><li class=menu><ul><li>x</li></ul></li><li>One.</ul></article>") == ["Plain words.", "One."]
+    assert "comment" in main_text.main_text(f"<article>{body}<pre>x = 1 <span class=comment># a comment</span></pre></article>")
+
+
+@settings(max_examples=200, deadline=None)
+@given(st.lists(st.integers(0, 60).map(lambda x: x if x < 45 else 0), max_size=30), st.integers(1, 4), st.integers(1, 120))
+def test_surges_and_dives_by_brute_force(weight, window, surge):
+    total = lambda i: sum(weight[i : i + window])
+    level = min(surge, max([1, *map(total, range(len(weight)))]))
+    want, open_ = set(), None
+    for i in range(len(weight)):
+        if open_ is None and weight[i] and total(i) >= level:
+            open_ = i
+        if open_ is not None and (total(i) == 0 or i == len(weight) - 1):
+            last = max(j for j in range(open_, i + 1) if weight[j])
+            want |= set(range(open_, last + 1))
+            open_ = None
+    assert {i for a, b in main_text.surges(weight, window, surge) for i in range(a, b)} == want
+
+
+def test_surges_decide_on_given_pages(spark, small):
+    pages = [r.html for r in spark.read.parquet(f"{small}/pages.parquet").collect()]
+    assert all(any(x[2] for x in main_text.strip_markup(p)) for p in pages if p)  # all declare main text
+    texts = {surge: [main_text.main_text(p, surge=surge) for p in pages] for surge in (main_text.SURGE, 2000, 8000)}
+    assert texts[main_text.SURGE] != texts[2000] != texts[8000] and all(texts[8000])
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.text(alphabet="<>/ap \"'=!-&;x\n", max_size=80))
 def test_main_text_never_fails(page):
@@ -392,12 +427,49 @@ def test_top_k_prunes():
     rng = np.random.default_rng(0)
     rows = rng.integers(-50, 50, (2000, 16))
     rows[:, 3:] //= 20
-    shard = maxscore.Shard(np.arange(2000), rows)
+    shard = maxscore.Shard(np.arange(2000), rows, counting=True)
     q = rows[7]
     scores = rows @ q
     floor = int(np.sort(scores)[-5])
     score, at = shard.search(q, -1, 5, floor)
     assert sorted(at.tolist()) == np.flatnonzero(scores >= floor).tolist() and (scores[at] == score).all()
+    assert 0 < shard.read < shard.held / 2
+    for at_term in range(16):  # lists are sorted by row and hold each non-zero value once
+        for sign, (rows_of, values, _, ends) in enumerate(shard.lists):
+            own = slice(ends[at_term], ends[at_term + 1])
+            inside = rows[:, at_term] > 0 if sign else rows[:, at_term] < 0
+            assert rows_of[own].tolist() == np.flatnonzero(inside).tolist() and (values[own] == rows[inside, at_term]).all()
+
+
+def test_top_k_on_given_vectors_reads_fewer_postings(small):
+    import numpy as np
+    import pyarrow.parquet as pq
+
+    table = pq.read_table(f"{small.replace('sf0.001', 'sf0.1')}/embeddings.parquet").to_pylist()
+    rows = np.floor(256 * np.array([r["embedding"] for r in table], float)).astype(np.int64)
+    shard = maxscore.Shard(np.arange(len(rows)), rows, counting=True)
+    for q in rows[::50]:
+        scores = rows @ q
+        floor = int(np.sort(scores)[-5])
+        score, at = shard.search(q, -1, 5, floor)
+        assert sorted(at.tolist()) == np.flatnonzero(scores >= floor).tolist() and (scores[at] == score).all()
+    assert shard.read < shard.held / 2
+
+
+def test_top_k_with_huge_values_and_small_blocks(spark):
+    import numpy as np
+
+    rng = np.random.default_rng(4)
+    rows = rng.integers(-(1 << 29), 1 << 29, (300, 6))
+    shard = maxscore.Shard(np.arange(300), rows)
+    for q in rows[:20]:
+        scores = rows @ q
+        floor = int(np.sort(scores)[-5])
+        score, at = shard.search(q, -1, 5, floor)
+        assert sorted(at.tolist()) == np.flatnonzero(scores >= floor).tolist() and (scores[at] == score).all()
+    df = spark.createDataFrame([(i, [float(x) / 2**29 for x in v]) for i, v in enumerate(rows.tolist())], "vec_id long, embedding array<double>")
+    once, often = maxscore.top_k(df, every=7), maxscore.top_k(df, every=7, query_bytes=500)
+    assert sorted(once.collect()) == sorted(often.collect())
 
 
 # 8
