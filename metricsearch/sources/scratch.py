@@ -8,7 +8,7 @@ import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _SETTING = "spark.checkpoint.dir"
@@ -39,6 +39,8 @@ def delete(spark: SparkSession, path: str) -> None:
 def new_path(spark: SparkSession, name: str, owner: str = "query") -> str:
     """A fresh path under the shared folder, remembered under ``owner`` for :func:`release`."""
     path = f"{scratch_root(spark)}/{name}-{uuid.uuid4().hex}"
+    fs, jvm_path = _fs(spark, path)
+    fs.deleteOnExit(jvm_path)  # whatever the store, if nobody releases it before
     _written.setdefault(owner, []).append(path)
     return path
 
@@ -72,14 +74,26 @@ def small_side(df: DataFrame, most_rows: int = 500_000) -> DataFrame:
 
 
 def release(spark: SparkSession, owner: str) -> None:
-    """Delete what ``owner`` has written; call it only when no lazy DataFrame reads those tables any more."""
-    for path in _written.pop(owner, []):
-        delete(spark, path)
+    """Delete what ``owner`` and its parts (``owner/...``) have written; call it only when no lazy DataFrame reads it."""
+    for name in [x for x in _written if x and (x == owner or x.startswith(f"{owner}/"))]:
+        for path in _written.pop(name):
+            fs, jvm_path = _fs(spark, path)
+            fs.delete(jvm_path, True)
+            fs.cancelDeleteOnExit(jvm_path)
+
+
+def deal_by_range(df: DataFrame, *keys: str | Column, part_bytes: int = 64 << 20) -> DataFrame:
+    """``df`` dealt by ranges of ``keys``: where its files are larger than ``spark.sql.shuffle.partitions`` parts of
+    ``part_bytes``, into as many more; else as the session says, so that parts may still be put together."""
+    size = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    parts = -(-size // part_bytes) if size < 1 << 60 else 0  # beyond: unknown
+    usual = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return df.repartitionByRange(parts, *keys) if usual < parts else df.repartitionByRange(*keys)
 
 
 @atexit.register
 def _drop_local() -> None:
-    """At the end of the driver's process, tables in folders that it can reach itself go."""
+    """At the end of the driver's process, tables in folders that it can reach itself go, without the JVM too."""
     import shutil
 
     for path in [p for paths in _written.values() for p in paths]:
