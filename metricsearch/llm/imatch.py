@@ -143,7 +143,8 @@ def edit_test(docs: DataFrame, rows_per_part: int = 3000) -> DataFrame:
     Edited: the last third of the code points gives way to as many from the start of the next document, in falling
     order of doc_id, the last followed by the first. Null texts count as empty. Null ids come last; rows of equal id
     stand by their text. One row alone is its own follower. Documents are dealt by ranges of ids once; each range
-    also gets a copy of the first row of the next, found by its id, so no order runs through one task.
+    also gets a copy of the first row of the next, so no order runs through one task; one id with many texts, or null
+    ids, are split by a hash of the text.
     """
     spark: SparkSession = docs.sparkSession
     docs = docs.select("doc_id", "text")
@@ -154,20 +155,22 @@ def edit_test(docs: DataFrame, rows_per_part: int = 3000) -> DataFrame:
         return spark.createDataFrame([], RESULT)
     shared = spark.sparkContext.broadcast(lexicon(docs))
     parts = max(1, min(-(-n // rows_per_part), 100_000))
-    cuts = np.unique(np.array(rows.approxQuantile("key", [k / parts for k in range(1, parts)], 0.1 / parts) if parts > 1 else [], np.float64).astype(np.int64))
-    held = spark.sparkContext.broadcast(-cuts[::-1])  # ascending; parts count from the largest ids
+    found = np.array(rows.approxQuantile("key", [k / parts for k in range(1, parts)], 0.1 / parts) if parts > 1 else [], np.float64)
+    held = spark.sparkContext.broadcast(-found.astype(np.int64)[::-1])  # ascending; parts count from the largest ids
 
     @F.arrow_udf("int")
-    def part_of(key: pa.Array) -> pa.Array:
-        return pa.array(np.searchsorted(held.value, -key.to_numpy(), "right").astype(np.int32))
-
-    rows = rows.withColumn("part", part_of("key"))
-    heads = rows.groupBy("part").agg(F.max("key").alias("key")).orderBy("part").collect()  # one row for each part
-    keys = [r["key"] for r in heads]
-    follows = {r["part"]: heads[(i - 1) % len(heads)]["part"] for i, r in enumerate(heads)}
-    first = rows.where(F.col("key").isin(keys)).groupBy("key").agg(F.min(F.struct("tie", "text", "doc_id")).alias("x"))
-    before = spark.createDataFrame([(r["key"], follows[r["part"]]) for r in heads], "key long, part int")
-    copies = first.join(before, "key").select(low.alias("key"), F.col("x.doc_id").alias("doc_id"), F.col("x.text").alias("text"), F.col("x.tie").alias("tie"), "part", F.lit(True).alias("copied"))
-    dealt = rows.withColumn("copied", F.lit(False)).unionByName(copies).repartition(len(heads) * 2, "part")
+    def part_of(key: pa.Array, tie: pa.Array) -> pa.Array:
+        """Parts before the key's own by the cuts above it; an id that fills several parts is split by its texts' hash."""
+        down = -key.to_numpy()
+        above, upto = np.searchsorted(held.value, down, "left"), np.searchsorted(held.value, down, "right")
+        place = (tie.to_numpy().astype(np.float64) / 2.0**64 + 0.5).clip(0, 1 - 2.0**-53)
+        return pa.array(np.where(upto > above, above + 1 + np.floor(place * (upto - above)), above).astype(np.int32))
+
+    rows = rows.withColumn("part", part_of("key", "tie"))
+    heads = rows.groupBy("part").agg(F.min(F.struct((-F.col("key")).alias("down"), "tie")).alias("x")).select("part", "x.*").orderBy("part").collect()  # one row for each part
+    before = spark.createDataFrame([(-r["down"], r["tie"], heads[(i - 1) % len(heads)]["part"]) for i, r in enumerate(heads)], "key long, tie long, before int")
+    first = rows.drop("part").join(F.broadcast(before), ["key", "tie"]).groupBy("before").agg(F.min(F.struct("text", "doc_id", "tie")).alias("x"))
+    copies = first.select(low.alias("key"), F.col("x.doc_id").alias("doc_id"), F.col("x.text").alias("text"), F.col("x.tie").alias("tie"), F.col("before").alias("part"), F.lit(True).alias("copied"))
+    dealt = rows.withColumn("copied", F.lit(False)).unionByName(copies).repartitionById(heads[-1]["part"] + 1, "part")
     dealt = dealt.sortWithinPartitions("part", "copied", F.desc("key"), "tie", "text")
     return dealt.select("doc_id", "text", "copied").mapInArrow(_compare(shared), RESULT)

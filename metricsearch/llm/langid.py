@@ -2,6 +2,7 @@
 
 Grams of one to three characters of the lower-cased text are hashed to ``BUCKETS`` columns. The log-probability
 matrix (languages by columns, 128 kB a language) is broadcast, and a batch is scored by gathering its rows in numpy.
+Priors are even, not the shares of languages among the labelled rows, as these say little about unlabelled ones.
 """
 
 from __future__ import annotations
@@ -13,12 +14,15 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import workers
+
 UNKNOWN = "und"
 BUCKETS = 1 << 15
 GRAMS = (1, 2, 3)
 SMOOTHING = 0.5
 TRAINING_ROWS = 40_000  # labelled rows that a model is fitted on, at most about; chosen by a hash of their ids
-_CHUNK = 1 << 19
+_CHUNK = 1 << 17  # characters whose grams are held at once
+_TEXTS = 500  # texts that are Python strings at once
 _MULTIPLIERS = np.array([0x9E3779B1, 0x85EBCA77, 0xC2B2AE3D], np.uint32)
 
 
@@ -42,7 +46,7 @@ _LETTERS = _letter_table()
 
 
 def gram_columns(texts: list[str | None]) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
-    """Yield (first, end, columns, row of each column) for runs of whole texts of about half a million characters.
+    """Yield (first, end, columns, row of each column) for runs of whole texts of about ``_CHUNK`` characters.
 
     Grams of white space and signs alone are left out; runs of them count as one.
     """
@@ -77,7 +81,8 @@ def gram_columns(texts: list[str | None]) -> Iterator[tuple[int, int, np.ndarray
 
 def _gram_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     counts: dict[str, np.ndarray] = {}
-    for batch in batches:
+    workers.begin("langid")
+    for batch in (x.slice(i, _TEXTS) for x in batches for i in range(0, x.num_rows, _TEXTS)):
         langs, texts = batch["lang"].to_pylist(), batch["text"].to_pylist()
         for first, end, columns, rows in gram_columns(texts):
             own = np.array(langs[first:end], object)
@@ -151,16 +156,19 @@ def train(labelled: DataFrame, training_rows: int = TRAINING_ROWS) -> Model:
 
 
 def predict(docs: DataFrame, model: Model) -> DataFrame:
-    """``docs`` with ``lang_pred`` and ``score`` (made anew if there) from the whole text; other columns pass through."""
+    """``docs`` with ``lang_pred`` and ``score`` (made anew if there) from the whole text; other columns pass through
+    under any name. Only the text goes to Python, and a few hundred texts at a time become strings there."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    docs = docs.drop("lang_pred", "score")
 
     @F.arrow_udf("lang_pred string, score double")
     def of(text: pa.Array) -> pa.Array:
-        lang, score = shared.value.predict(text.to_pylist())
+        workers.begin("langid")
+        found = [shared.value.predict(text.slice(i, _TEXTS).to_pylist()) for i in range(0, len(text), _TEXTS)]
+        lang, score = [x for names, _ in found for x in names], np.concatenate([np.zeros(0), *[x for _, x in found]])
         return pa.StructArray.from_arrays([pa.array(lang, pa.string()), pa.array(score, pa.float64())], ["lang_pred", "score"])
 
-    return docs.withColumn("_found", of("text")).withColumns({"lang_pred": F.col("_found.lang_pred"), "score": F.col("_found.score")}).drop("_found")
+    kept = F.struct(*[F.col(f"`{c}`") for c in docs.columns if c not in ("lang_pred", "score")])
+    return docs.select(kept.alias("row"), of("text").alias("found")).select("row.*", "found.lang_pred", "found.score")
 
 
 def identify(docs: DataFrame, training_rows: int = TRAINING_ROWS) -> DataFrame:

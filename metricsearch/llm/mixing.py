@@ -55,34 +55,38 @@ def random_offset(source: str = "source", seed: int = 7) -> Column:
     return (F.conv(F.substring(digest, 1, 8), 16, 10).cast("double") + 0.5) / 4294967296.0
 
 
-def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: float = CAP, seed: int = 7, owner: str = "query") -> DataFrame:
+def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: float = CAP, seed: int = 7, owner: str = "query", size: str | None = None) -> DataFrame:
     """Every row of ``docs`` with size, source_size, target and ``copies``, the times the mix takes it (0 included).
 
-    ``docs`` needs doc_id and source, and size or text; other columns pass through, but for these five names, which
-    are made anew. Null sources form one source; rows without words have size 0. Rows with equal (size, doc_id) stand
-    next to each other in an order by their text's hash, so reruns agree. Rows are dealt by ranges of (source, size,
-    doc_id): a hot source spans many tasks. Ranks within a source add the counts of the tasks before.
+    ``docs`` needs doc_id, source and text, or instead of a text the column that ``size`` names, which holds numbers of
+    words; other columns pass through under any name, but for those four, which are made anew. Null sources form one
+    source; rows without words have size 0. Rows with equal (size, doc_id) stand next to each other in an order by a
+    hash of all they hold, so reruns agree. Rows are dealt by ranges of (source, size, doc_id): a hot source spans many
+    tasks. Ranks within a source add the counts of the tasks before. An empty table gives no rows.
     """
-    rows = docs if "size" in docs.columns else docs.withColumn("size", word_total())
-    rows = rows.drop("source_size", "target", "copies", "_tie", "_row")
-    rows = rows.withColumn("_tie", F.xxhash64(*[c for c, kind in rows.dtypes if not kind.startswith("map")]))
-    keys = [F.col("source").asc_nulls_last(), F.col("size"), F.col("doc_id"), F.col("_tie")]
-    rows = rows.repartitionByRange(*keys).sortWithinPartitions(*keys)
-    rows = scratch.write_table(rows.withColumn("_row", F.monotonically_increasing_id()).drop("_tie"), "mix-rows", owner)
-    part = F.shiftright("_row", 33).cast("int")
-    runs = rows.groupBy("source", part.alias("_part")).agg(F.count("*").alias("_n"), F.sum("size").alias("size"), F.min("_row").alias("_first"))
-    earlier = Window.partitionBy("source").orderBy("_part")
-    runs = runs.select("source", "_part", "_first", (F.sum("_n").over(earlier) - F.col("_n")).alias("_before"), "size")
-    goals = source_targets(runs.select("source", "size"), weights, cap).select(F.col("source").alias("_of"), "source_size", "target")
-    runs = runs.drop("size").join(goals, F.col("source").eqNullSafe(F.col("_of"))).drop("source").withColumnRenamed("_part", "_at")
+    made = ("size", "source_size", "target", "copies")
+    whole = {c: F.col(f"`{c}`") for c in docs.columns}
+    tie = F.xxhash64(*[whole[c] for c, kind in docs.dtypes if c not in made and "map<" not in kind and kind != "variant"])
+    count = word_total() if size is None else F.coalesce(whole[size].cast("long"), F.lit(0))
+    rows = docs.select(F.struct(*[v.alias(c) for c, v in whole.items() if c not in made]).alias("row"), count.alias("size"), tie.alias("tie"))
+    keys = [F.col("row.source").asc_nulls_last(), F.col("size"), F.col("row.doc_id"), F.col("tie")]
+    rows = scratch.deal_by_range(rows, *keys).sortWithinPartitions(*keys)
+    rows = scratch.write_table(rows.withColumn("no", F.monotonically_increasing_id()).drop("tie"), "mix-rows", owner)
+    part, source = F.shiftright("no", 33).cast("int"), F.col("row.source")
+    runs = rows.groupBy(source.alias("source"), part.alias("part")).agg(F.count("*").alias("n"), F.sum("size").alias("size"), F.min("no").alias("first"))
+    earlier = Window.partitionBy("source").orderBy("part")
+    runs = runs.select("source", "part", "first", (F.sum("n").over(earlier) - F.col("n")).alias("before"), "size")
+    goals = source_targets(runs.select("source", "size"), weights, cap).select(F.col("source").alias("of"), "source_size", "target")
+    runs = runs.drop("size").join(goals, F.col("source").eqNullSafe(F.col("of"))).drop("source")
     runs = scratch.small_side(scratch.write_table(runs, "mix-runs", owner))
-    ranked = rows.withColumn("_part", part).join(runs, (F.col("_part") == F.col("_at")) & F.col("source").eqNullSafe(F.col("_of")))
-    rank = (F.col("_row") - F.col("_first") + F.col("_before")).cast("double")
+    ranked = rows.join(runs, (part == F.col("part")) & source.eqNullSafe(F.col("of")))
+    rank = (F.col("no") - F.col("first") + F.col("before")).cast("double")
     each = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
-    upto = lambda n: F.floor(random_offset(seed=seed) + n * each)
-    return ranked.withColumn("copies", (upto(rank + 1) - upto(rank)).cast("long")).drop("_row", "_part", "_at", "_of", "_first", "_before")
+    upto = lambda n: F.floor(random_offset("of", seed) + n * each)
+    return ranked.select("row.*", "size", "source_size", "target", (upto(rank + 1) - upto(rank)).cast("long").alias("copies"))
 
 
 def take(mixed: DataFrame) -> DataFrame:
-    """The mix itself: each row as often as ``copies`` says."""
-    return mixed.where("copies > 0").withColumn("_copy", F.explode(F.sequence(F.lit(1).cast("long"), "copies"))).drop("_copy")
+    """The mix itself: each row as often as ``copies`` says; rows with null or no copies go."""
+    again = F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies"))).alias("nth")
+    return mixed.where("copies > 0").select(F.struct(*[F.col(f"`{c}`") for c in mixed.columns]).alias("row"), again).select("row.*")

@@ -36,6 +36,7 @@ SLOTS = 1024  # of the parities that bound an overlap; a power of two
 OFTEN = 16  # a shingle counted this often goes to the end of the order
 MOST_OFTEN = 400_000  # the longest list of such shingles that is sent to the executors, 8 bytes each
 BATCH_OFTEN = 20_000
+STRIP = 200_000  # pairs of postings that are met at once
 
 
 def _least_overlap(n: int, percent: int) -> int:
@@ -123,14 +124,21 @@ def _candidates(percent: int):
     names = ["shingle", "doc_id", "n", "pos", "grp", "chunk"]
 
     def of_run(c: dict[str, np.ndarray], a: int, b: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        step = max(1, 1_000_000 // (b - a))  # a long run is met in strips of bounded size
-        members = np.arange(a, b)
-        for first in range(a, b, step):
-            q = np.repeat(np.arange(first, min(b, first + step)), b - a)
-            m = np.tile(members, min(b, first + step) - first)
-            ok = _meet(q, m, c, percent)
-            if ok.any():
-                yield q[ok], m[ok]
+        """Pairs of a run, met in strips of bounded size; those within one group are never made."""
+        order = a + np.argsort(c["grp"][a:b], kind="stable")
+        grp = c["grp"][order]
+        cuts = np.flatnonzero(np.concatenate([[True], grp[1:] != grp[:-1], [True]])).tolist()
+        for low, high in zip(cuts[:-1], cuts[1:], strict=True):
+            others = np.concatenate([order[:low], order[high:]])
+            step = max(1, STRIP // max(1, len(others)))
+            for first in range(low, high, step):
+                mine = order[first : min(high, first + step)]
+                for at in range(0, len(others), STRIP):
+                    some = others[at : at + STRIP]
+                    q, m = np.repeat(mine, len(some)), np.tile(some, len(mine))
+                    ok = _meet(q, m, c, percent)
+                    if ok.any():
+                        yield q[ok], m[ok]
 
     def pairs(c: dict[str, np.ndarray]) -> Iterator[pa.RecordBatch]:
         s = c["shingle"]
@@ -386,7 +394,7 @@ def _join(docs: DataFrame, width: int, percent: int, owner: str, links_as: str |
     alone = stars.select("grp", "chunk", F.col("grp").alias("doc_id")).distinct()
     stars = scratch.write_table(_possible(stars, alone, classes, percent), "possible-stars", owner)
     links = _verify(stars, alone, docs, width, percent, owner)
-    groups = components(links)
+    groups = components(links, owner=owner)
 
     # The matrix over the groups' chunks; a class without a group is a chunk of its own.
     sizes = groups.groupBy("component").agg((F.ceil((F.count("*") + 1) / CHUNK)).alias("chunks"))
@@ -414,7 +422,7 @@ def _join(docs: DataFrame, width: int, percent: int, owner: str, links_as: str |
     # Components of all links, and from classes back to documents.
     joined = groups.select(F.col("node").alias("a"), F.col("component").alias("b")).union(more)
     twice = rows.where("n > 0 and doc_id is not null").join(classes.where("copies > 1"), ["h1", "h2", "n"]).where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
-    named = components(joined.union(twice))
+    named = components(joined.union(twice), owner=owner)
     if links_as is None:
         return rows, named, None
     return rows, named, _all_links(candidates, whole, placed, classes, docs, width, percent, owner, links_as == "counts")

@@ -37,7 +37,7 @@ def ngram_link_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _table(spark, sf_dir, "documents").select("doc_id", "source", mixing.word_total().alias("size"))
-    mixed = mixing.mix(docs)
+    mixed = mixing.mix(docs, size="size")
     return mixed.select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"))
 
 

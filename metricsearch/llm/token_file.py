@@ -48,10 +48,11 @@ def write_token_file(docs: DataFrame, path: str, tokenizer_path: str | None = No
     """Encode every whole text of ``docs`` (doc_id, text; other columns are left out) and write the token file.
 
     Rows are dealt by ranges of (doc_id, hash of the text), so repeated ids stay neighbours in a fixed order; null
-    ids come first. The text is shuffled once and encoded after that, so a lost task encodes only its own range.
+    ids come first. A null or empty text is the end id alone, or an empty list without one. An empty table gives a
+    folder without rows, which reads back as an empty table. The text is shuffled once and encoded after that, so a lost task encodes only its own range.
     """
     rows = docs.select("doc_id", "text", F.xxhash64("text").alias("_tie"))
-    dealt = rows.repartitionByRange("doc_id", "_tie").sortWithinPartitions("doc_id", "_tie")
+    dealt = scratch.deal_by_range(rows, "doc_id", "_tie").sortWithinPartitions("doc_id", "_tie")
     lists = token_lists(dealt.select("doc_id", F.spark_partition_id().alias("part"), "text"), tokenizer_path or tokens.default_tokenizer_path(), end_id)
     lists.write.mode(mode).format("orc").options(**ORC_OPTIONS).save(path)
 

@@ -16,6 +16,8 @@ from functools import lru_cache
 
 import numpy as np
 
+from . import workers
+
 MAX_PIECES, MAX_WORDS = 200_000, 400_000  # in each of two generations
 LONGEST_KEPT = 48
 MARK = "\x7f"  # a word of its own to the pattern; texts that hold it are left to the library
@@ -121,11 +123,13 @@ class TextEncoder:
 
 @lru_cache(maxsize=2)
 def encoder(path: str) -> TextEncoder:
-    """One encoder for each Python worker; workers are kept between tasks, and so is its table."""
+    """One encoder for each Python worker; workers are kept between tasks, and so is its table, until another operator begins."""
     return TextEncoder(path)
 
 
 def encoded(texts: list[str | None], path: str) -> Iterator[bytes]:
+    workers.begin("tokens")
+    workers.keeps("tokens", encoder.cache_clear)
     own = encoder(path)
     for text in texts:
         yield own.encode(text)

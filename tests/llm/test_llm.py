@@ -333,6 +333,17 @@ def test_components(spark):
 # 5
 
 
+def test_mix_with_clashing_columns(spark, odd):
+    names = ["_at", "_of", "_first", "_before", "_part", "_row", "_tie", "row", "part", "of", "no", "n", "first", "before", "tie", "nth", "source_size", "copies", "size", "a.b"]
+    plain = mixing.mix(odd).select("doc_id", "size", "source_size", "target", "copies").collect()
+    clash = mixing.mix(odd.withColumns({c: F.lit(10) for c in names}))
+    assert set(clash.columns) == {*odd.columns, *names, "target"}
+    assert sorted(map(str, clash.select("doc_id", "size", "source_size", "target", "copies").collect())) == sorted(map(str, plain))
+    assert all(r["_part"] == r["a.b"] == r["row"] == r["nth"] == 10 for r in mixing.take(clash).collect())
+    counted = mixing.mix(odd.select("doc_id", "source", mixing.word_total().alias("words")), size="words")
+    assert sorted(r.target for r in counted.collect()) == pytest.approx(sorted(r.target for r in plain))
+
+
 def test_mix(spark, odd, empty):
     rows = mixing.mix(odd).collect()
     assert len(rows) == 14 and "size_" in rows[0].asDict()
@@ -475,6 +486,28 @@ def test_top_k_with_huge_values_and_small_blocks(spark):
 # 8
 
 
+def plain_mix(x):
+    x = (x ^ (x >> 30)) * words.MIX_1 % 2**64
+    x = (x ^ (x >> 27)) * words.MIX_2 % 2**64
+    return x ^ (x >> 31)
+
+
+def test_imatch_splits_hot_ids(spark):
+    """Null ids and one id with many texts fill several parts; every row still meets the row after it."""
+    rng = random.Random(9)
+    rows = [(i, f"doc {i} " + " ".join(rng.choice("abcdefgh") * 3 for _ in range(6))) for i in range(1, 30)]
+    rows += [(12, f"hot {i} text {i * i} of one id") for i in range(60)] + [(None, f"null {i} row {i * 7}") for i in range(40)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = imatch.edit_test(docs, rows_per_part=8).collect()
+    ties = {r.text: r.tie for r in docs.select("text", F.xxhash64("text").alias("tie")).collect()}
+    order = sorted(rows, key=lambda r: (r[0] is None, -(r[0] or 0), ties[r[1]], r[1]))
+    want = []
+    for a, b in zip(order, order[1:] + order[:1], strict=True):
+        cut = len(a[1]) // 3
+        want.append((str(a[0]), hashlib.sha256((a[1][: len(a[1]) - cut] + b[1][:cut]).encode()).hexdigest()))
+    assert sorted((str(r.doc_id), r.edited_sha256) for r in got) == sorted(want)
+
+
 def test_imatch(spark, odd, empty):
     got = imatch.edit_test(odd, rows_per_part=4).collect()
     rows = sorted(odd.collect(), key=lambda r: (r.doc_id is None, -(r.doc_id or 0)))
@@ -489,6 +522,28 @@ def test_imatch(spark, odd, empty):
         assert r.edited_sha256 in edited[r.doc_id] and 0 <= r.near_edited <= 1 and 0 <= r.near_next <= 1
     prints = {r.doc_id: r.fingerprint for r in got}
     assert prints[1] == prints[2] == prints[None] and prints[1] != prints[9]
+    lex = imatch.lexicon(odd)
+    df = {}
+    for t in texts:
+        for w in set(WORD.findall(lower(t))):
+            df[w] = df.get(w, 0) + 1
+    import pyarrow as pa
+
+    hashed = {w: int(next(words.distinct_words(pa.array([w])))[0]) for w in df}
+    assert set(map(int, lex)) == {hashed[w] for w, n in df.items() if 2 <= n <= max(2, 0.25 * len(texts))}
+    by_text = {t: next(imatch.prints_of(pa.array([t]), lex)) for t in texts}
+    for t, own in by_text.items():  # the first hash by its definition, in plain integers
+        terms = {hashed[w] for w in set(WORD.findall(lower(t)))}
+        base = terms & set(map(int, lex)) or terms
+        assert own.split(" ")[0] == (f"{sum(map(plain_mix, (x ^ 0xA5A5A5A5A5A5A5A5 for x in base))) % 2**64:016x}" if base else "-")
+    want = sorted((r.doc_id is None, r.doc_id or 0, by_text[t]) for r, t in zip(rows, texts, strict=True))
+    assert sorted((r.doc_id is None, r.doc_id or 0, r.fingerprint) for r in got) == want
+    for r in got:
+        levels = [(r.fingerprint.split(" ")[1 + 16 * i : 17 + 16 * i], r.edited_fingerprint.split(" ")[1 + 16 * i : 17 + 16 * i]) for i in range(5)]
+        shares = [(sum(a == b for a, b in zip(*x, strict=True) if (a, b) != ("-", "-")), sum((a, b) != ("-", "-") for a, b in zip(*x, strict=True))) for x in levels]
+        enough = [x for x in reversed(shares) if x[1] >= 8]
+        same, of = enough[0] if enough else max(reversed(shares), key=lambda x: x[1])
+        assert r.near_edited == pytest.approx(1.0 if r.fingerprint == r.edited_fingerprint else same / of if of else 0.0)
     assert imatch.edit_test(empty).count() == 0
     assert imatch.likeness("a", "a") == 1.0
 
@@ -512,9 +567,94 @@ def test_language_id(spark, odd, empty, small):
     assert langid.train(docs, training_rows=40).langs == langid.train(docs).langs
 
 
+def test_language_id_by_brute_force(spark, small):
+    """Bayes by definition, with counters over n-grams, gives the languages and scores that the arrays give."""
+    import math
+    from collections import Counter
+
+    docs = [r for r in spark.read.parquet(f"{small}/documents.parquet").limit(120).collect()]
+    texts = [(r.lang, (r.text or "")[:300]) for r in docs if r.lang]
+    langs = sorted({x for x, _ in texts})
+
+    def grams(text):
+        return Counter(next(x[2] for x in langid.gram_columns([text])).tolist())
+
+    counts = {x: Counter() for x in langs}
+    for lang, text in texts[::2]:
+        counts[lang].update(grams(text))
+    import numpy as np
+
+    table = np.zeros((len(langs), langid.BUCKETS))
+    for i, x in enumerate(langs):
+        for k, n in counts[x].items():
+            table[i, k] = n
+    model = langid.Model(langs, table)
+    total = {x: sum(counts[x].values()) + langid.SMOOTHING * langid.BUCKETS for x in langs}
+    names, scores = model.predict([t for _, t in texts])
+    for (_, text), name, score in zip(texts, names, scores, strict=True):
+        if not any(c.isalpha() for c in text):
+            assert (name, score) == ("und", 0)
+            continue
+        log = {x: sum(n * math.log((counts[x][k] + langid.SMOOTHING) / total[x]) for k, n in grams(text).items()) / len(langid.GRAMS) for x in langs}
+        top = max(log.values())
+        odds = {x: math.exp(v - top) for x, v in log.items()}
+        assert score == pytest.approx(odds[name] / sum(odds.values()), rel=1e-3) and odds[name] > 0.99
+
+
+def test_language_id_with_clashing_columns(spark, odd):
+    names = ["_found", "found", "row", "lang_pred", "score", "held_out", "a.b"]
+    got = langid.identify(odd.withColumns({c: F.lit("x") for c in names}))
+    assert set(got.columns) == {*odd.columns, *names}
+    assert all(r["_found"] == r["found"] == r["row"] == r["a.b"] == "x" and r.lang_pred != "x" and r.held_out != "x" for r in got.collect())
+    assert sorted(str(tuple(r)) for r in got.select("doc_id", "lang_pred").collect()) == sorted(str(tuple(r)) for r in langid.identify(odd).select("doc_id", "lang_pred").collect())
+
+
+def test_workers_keep_one_operator():
+    from metricsearch.llm import workers
+
+    list(tokens.encoded(["some words"], tokens.default_tokenizer_path()))
+    assert tokens.encoder.cache_info().currsize >= 1
+    workers.begin("tokens")
+    assert tokens.encoder.cache_info().currsize >= 1
+    workers.begin("words")
+    assert tokens.encoder.cache_info().currsize == 0
+
+
+def test_slices_are_bounded():
+    import pyarrow as pa
+
+    batch = pa.RecordBatch.from_arrays([pa.array(["a" * 10, None, "b" * 100, "", "c" * 5])], ["text"])
+    got = [x["text"].to_pylist() for x in words.slices(iter([batch]), rows=3, size=20)]
+    assert sum(got, []) == batch["text"].to_pylist() and [len(x) for x in got] == [2, 1, 2]
+
+
 # The pipeline
 
 
+def test_pipeline_stages_on_odd_tables(spark, odd, empty, small):
+    """Nulls, blanks, repeats, a very long text and clashing columns go through every stage; an empty table too."""
+    import corpus_pipeline
+
+    clash = odd.withColumns({c: F.lit("x") for c in ("_found", "row", "size", "part", "component_id", "score", "ids", "node")})
+    rows = odd.collect()
+    kept = {name: stage(spark, clash, small) for name, stage in corpus_pipeline.STAGES[:1]}
+    assert {r.doc_id for r in kept["language_id"].collect()} <= {r.doc_id for r in rows if any(c.isalpha() for c in r.text or "")}
+    want = {i for i, _, c in brute_components([(r.doc_id, r.text) for r in rows]) if i == c} | {None}
+    assert {r.doc_id for r in corpus_pipeline.one_of_each(spark, clash, small).collect()} == want
+    assert corpus_pipeline.target_mix(spark, clash, small).columns == corpus_pipeline.COLUMNS
+    assert sum(r.length for r in corpus_pipeline.packed(spark, clash, small).collect()) == sum(len(brute_ids(r.text, 2)) // 4 for r in rows)
+    for _, stage in corpus_pipeline.STAGES:
+        assert stage(spark, empty, small).count() == 0
+
+
+def test_two_runs_do_not_touch_each_other(spark, small):
+    import corpus_pipeline
+
+    first, second = corpus_pipeline.run(spark, small), corpus_pipeline.run(spark, small)
+    columns = ["doc_id", "start", "length", "ids_crc32"]
+    assert sorted(first.select(*columns).collect()) == sorted(second.select(*columns).collect())
+
+
 def test_pipeline(spark, small):
     import corpus_pipeline
 
