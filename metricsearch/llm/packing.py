@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from . import scratch, tokens
+from . import scratch, tokens, workers
 
 PIECES = "doc_id long, part int, place long, start long, length long, ids_crc32 long, doc_tokens long, bucket int"
 
@@ -32,7 +32,7 @@ def cut_documents(docs: DataFrame, tokenizer_path: str, end_id: int | None, long
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         place = 0
-        for batch in batches:
+        for batch in workers.slices(batches):
             out: list[list] = [[] for _ in range(8 + with_ids)]
             for doc_id, part, ids in zip(batch["doc_id"].to_pylist(), batch["part"].to_pylist(), tokens.encoded(batch["text"].to_pylist(), tokenizer_path), strict=True):
                 data, start = memoryview(ids + end), 0

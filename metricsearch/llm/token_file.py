@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from . import scratch, tokens
+from . import scratch, tokens, workers
 
 ORC_OPTIONS = {
     "orc.bloom.filter.columns": "doc_id",
@@ -31,7 +31,7 @@ def token_lists(docs: DataFrame, tokenizer_path: str, end_id: int | None) -> Dat
     end = b"" if end_id is None else end_id.to_bytes(4, "little")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in workers.slices(batches):
             lists = [x + end for x in tokens.encoded(batch["text"].to_pylist(), tokenizer_path)]
             offsets, total = [0], 0
             for x in lists:

@@ -11,7 +11,6 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 
 from . import workers
 
@@ -58,18 +57,10 @@ def text_buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, offsets
 
 
-def slices(batches: Iterator[pa.RecordBatch], rows: int = 2000, size: int = 2 << 20, name: str = "text") -> Iterator[pa.RecordBatch]:
-    """The batches in slices of at most ``rows`` rows and about ``size`` bytes of the column ``name`` (one row at least),
-    so that what is made of one stays small."""
+def slices(batches: Iterator[pa.RecordBatch], rows: int = 2000, size: int = 2 << 20) -> Iterator[pa.RecordBatch]:
+    """:func:`workers.slices` of a task that keeps no tables."""
     workers.begin("words")
-    for batch in batches:
-        upto = np.cumsum(pc.fill_null(pc.binary_length(batch[name]), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
-        first = 0
-        while first < batch.num_rows:
-            before = int(upto[first - 1]) if first else 0
-            end = min(first + rows, batch.num_rows, max(first + 1, int(np.searchsorted(upto, before + size, "right"))))
-            yield batch.slice(first, end - first)
-            first = end
+    return workers.slices(batches, rows, size)
 
 
 def word_chunks(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:

@@ -7,11 +7,14 @@ from __future__ import annotations
 
 import ctypes
 import gc
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 _kept: dict[str, Callable[[], None]] = {}
+_last: str | None = None  # the operator whose task ran here before
 
 
 def keeps(name: str, drop: Callable[[], None]) -> None:
@@ -21,10 +24,12 @@ def keeps(name: str, drop: Callable[[], None]) -> None:
 
 def begin(name: str) -> None:
     """A task of the operator ``name`` begins: what others keep goes, and free memory goes back to the system."""
-    others = [x for x in _kept if x != name]
-    if not others:
+    global _last
+    if _last in (None, name):
+        _last = name
         return
-    for x in others:
+    _last = name
+    for x in [x for x in _kept if x != name]:
         _kept.pop(x)()
     gc.collect()
     pa.default_memory_pool().release_unused()
@@ -32,3 +37,16 @@ def begin(name: str) -> None:
         ctypes.CDLL(None).malloc_trim(0)
     except (AttributeError, OSError):  # another C library
         return
+
+
+def slices(batches: Iterator[pa.RecordBatch], rows: int = 1000, size: int = 2 << 20, name: str = "text") -> Iterator[pa.RecordBatch]:
+    """The batches in slices of at most ``rows`` rows and about ``size`` bytes of the column ``name`` (one row at least),
+    so that what is made of one stays small."""
+    for batch in batches:
+        upto = np.cumsum(pc.fill_null(pc.binary_length(batch[name]), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
+        first = 0
+        while first < batch.num_rows:
+            before = int(upto[first - 1]) if first else 0
+            end = min(first + rows, batch.num_rows, max(first + 1, int(np.searchsorted(upto, before + size, "right"))))
+            yield batch.slice(first, end - first)
+            first = end
