@@ -18,7 +18,7 @@ import numpy as np
 
 from . import workers
 
-MAX_PIECES, MAX_WORDS = 150_000, 300_000  # in each of two generations
+MAX_PIECES, MAX_WORDS = 80_000, 150_000  # in each of two generations
 LONGEST_KEPT = 48
 MARK = "\x7f"  # a word of its own to the pattern; texts that hold it are left to the library
 
