@@ -128,28 +128,34 @@ def pick(block, index):
 
 
 def sad_many(q, block):
-    """Synchronised average distance of q to each movement of a block, in one pass over merged breakpoints."""
+    """Synchronised average distance of q to each movement of a block, in one pass over merged breakpoints.
+
+    The breakpoints of q and of each movement are merged without a sort: a vertex stands behind those before it in its
+    own movement and those of the other that come earlier, both of which are counted; at equal times q's come last.
+    """
     offsets, s, x, y = block
     n, m = len(offsets) - 1, len(q[0])
     if n == 0:
         return np.zeros(0)
-    lengths = np.diff(offsets)
-    owner = np.concatenate([np.repeat(np.arange(n), lengths), np.repeat(np.arange(n), m)])
-    time = np.concatenate([s, np.tile(q[0], n)])
-    theirs = np.zeros(len(time), bool)
-    theirs[: len(s)] = True
-    order = np.lexsort((~theirs, time, owner))
-    owner, time, theirs = owner[order], time[order], theirs[order]
-    left = np.cumsum(theirs) - 1
-    right = np.minimum(left + 1, offsets[owner + 1] - 1)
-    span = s[right] - s[left]
-    w = np.where(span > 0, (time - s[left]) / np.where(span > 0, span, 1.0), 0.0)
-    dx = x[left] + w * (x[right] - x[left]) - np.interp(time, q[0], q[1])
-    dy = y[left] + w * (y[right] - y[left]) - np.interp(time, q[0], q[2])
-    step = np.where(owner[1:] == owner[:-1], np.diff(time), 0.0)
-    go = step > 0
-    means = segment_mean(dx[:-1][go], dy[:-1][go], dx[1:][go], dy[1:][go]) * step[go]
-    return np.bincount(owner[:-1][go], weights=means, minlength=n)
+    lengths, every = np.diff(offsets), np.arange(n)
+    owner = np.repeat(every, lengths)
+    low = np.searchsorted(q[0], s, "left")
+    upto = np.bincount(owner * (m + 1) + low, minlength=n * (m + 1)).reshape(n, m + 1).cumsum(axis=1)[:, :m]
+    left = offsets[:-1, None] + upto - 1  # the last vertex not after each of q's
+    right = np.minimum(left + 1, offsets[1:, None] - 1)
+    from_, span = s[left], s[right] - s[left]
+    w = np.where(span > 0, (q[0] - from_) / np.where(span > 0, span, 1.0), 0.0)
+    mine = np.arange(len(s)) + owner * m + low
+    other = left + 1 + every[:, None] * m + np.arange(m)
+    time, dx, dy = (np.empty(len(s) + n * m) for _ in range(3))
+    time[mine], time[other] = s, np.broadcast_to(q[0], (n, m))
+    dx[mine], dx[other] = x - np.interp(s, q[0], q[1]), x[left] + w * (x[right] - x[left]) - q[1]
+    dy[mine], dy[other] = y - np.interp(s, q[0], q[2]), y[left] + w * (y[right] - y[left]) - q[2]
+    step = np.diff(time)
+    step[(offsets[1:-1] + every[1:] * m) - 1] = 0.0  # from one movement to the next
+    go = np.flatnonzero(step > 0)
+    means = segment_mean(dx[go], dy[go], dx[go + 1], dy[go + 1]) * step[go]
+    return np.bincount(np.repeat(every, lengths + m)[go], weights=means, minlength=n)
 
 
 def hausdorff_many(q, block):

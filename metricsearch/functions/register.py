@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
@@ -11,11 +12,21 @@ from .metrics import METRICS
 
 
 def _pairwise(name: str):
+    """Distance of two columns of objects; equal objects of the side with fewer different ones are measured in one go."""
     metric = METRICS[name]
 
     def run(u: pa.Array, v: pa.Array) -> pa.Array:
-        a, b = metric.read(u), metric.read(v)
-        return pa.array([float(metric.many(metric.one(a, i), b, [i])[0]) for i in range(len(u))], pa.float64())
+        sides = []
+        for store in (metric.read(u), metric.read(v)):
+            rows: dict[bytes, list[int]] = {}
+            for i in range(len(u)):
+                rows.setdefault(metric.key(store, i), []).append(i)
+            sides.append((len(rows), store, list(rows.values())))
+        (_, one, groups), (_, many, _) = sides if sides[0][0] <= sides[1][0] else sides[::-1]
+        out = np.zeros(len(u))
+        for at in groups:
+            out[at] = metric.many(metric.one(one, at[0]), many, np.array(at))
+        return pa.array(out, pa.float64())
 
     run.__annotations__ = {"u": pa.Array, "v": pa.Array, "return": pa.Array}
     return F.arrow_udf(run, "double")
@@ -36,8 +47,6 @@ class Units:
 
 def medoid(ids, vectors) -> int:
     """Id of the vector with the least summed L1 distance to all of a group, the smaller id on ties."""
-    import numpy as np
-
     m = np.stack([np.asarray(v, np.float64) for v in vectors])
     total = np.array([np.abs(m - row).sum() for row in m]).round(6)
     return int(np.asarray(ids)[np.lexsort((np.asarray(ids), total))[0]])

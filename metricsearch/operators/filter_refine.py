@@ -11,7 +11,8 @@ from pyspark.sql import functions as F
 
 from ..functions import columns, movement
 from ..functions.metrics import METRICS
-from .scan import collect_queries
+from ..sources import scratch
+from .scan import collect_queries, query_blocks
 
 TUBED = "tube struct<s:array<double>,x:array<double>,y:array<double>>, tube_err double, tube_repaired boolean, n_units int, tube_units int"
 
@@ -43,62 +44,84 @@ def _slack(bounds: str, radius: float, own: np.ndarray, query: float) -> np.ndar
     raise ValueError(f"no bounds {bounds!r}")
 
 
-def range_filter_refine(tubed: DataFrame, queries: DataFrame, radius: float, bounds: str = "mean", use_hull: bool = True) -> DataFrame:
+def range_filter_refine(tubed: DataFrame, queries: DataFrame, radius: float, bounds: str = "mean", use_hull: bool = True, measure: bool = False) -> DataFrame:
     """(query_id, obj_id, verdict, dist): ``accepted`` by the tubes alone, or ``exact`` with its distance.
 
-    ``queries`` (query_id, obj, r) are tubed in the same way. The hull test is a Column filter over each query; the
-    tube test then reads tubes only, and full movements are fetched by id for the undecided.
+    ``queries`` (query_id, obj, r) are tubed in the same way; a query may be asked with several r. Accepted rows have
+    a null distance, or theirs with ``measure``. Objects are read in place, by hulls and tubes, against blocks of
+    queries; only ids and verdicts leave a task, and full movements are fetched by id for the undecided.
     """
-    return _stages(tubed, queries, radius, bounds, use_hull).where("verdict <> 'exact' or dist <= r").select("query_id", "obj_id", "verdict", "dist")
+    return _stages(tubed, queries, radius, bounds, use_hull, measure).where("verdict <> 'exact' or dist <= r").select("query_id", "obj_id", "verdict", "dist")
 
 
-def _stages(tubed: DataFrame, queries: DataFrame, radius: float, bounds: str, use_hull: bool) -> DataFrame:
+def _judge(queries, radius: float, bounds: str, use_hull: bool):
+    """(query_id, obj_id, r, code) of the pairs that the bounds do not rule out: 1 accepted, 2 undecided."""
     m = METRICS["sad"]
-    ids, asked, radii, _ = collect_queries(queries, "sad")
-    spark = tubed.sparkSession
-    prepared = [movement.tube(q, radius) for q in asked]
-    hulls = spark.createDataFrame([(int(i), float(r), *movement.hull(q)) for i, q, r in zip(ids, asked, radii, strict=True)], "query_id long, r double, x0 double, y0 double, x1 double, y1 double, hr double")
-    hulls = hulls.select("query_id", "r", F.struct("x0", "y0", "x1", "y1", F.col("hr").alias("r")).alias("query_hull"))
-    pairs = tubed.select("obj_id", "hull", "tube", "tube_err").join(F.broadcast(hulls), columns.hull_lower(F.col("hull"), F.col("query_hull")) <= F.col("r") + 1e-9 if use_hull else F.lit(True))
-    shared = spark.sparkContext.broadcast({int(i): (t[0], t[1]) for i, t in zip(ids, prepared, strict=True)})
-
-    def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            store, qid, r, err = m.read(batch["tube"]), batch["query_id"].to_numpy(), batch["r"].to_numpy(), batch["tube_err"].to_numpy()
-            d, verdict = np.zeros(len(qid)), np.full(len(qid), 2)
-            for q in np.unique(qid):
-                mine = np.flatnonzero(qid == q)
-                tube, own = shared.value[int(q)]
-                d[mine] = m.many(tube, store, mine)
-                slack = _slack(bounds, radius, err[mine], own)
-                eps = 1e-9 * (1 + r[mine])
-                verdict[mine] = np.where(d[mine] > r[mine] + slack + eps, 0, np.where(d[mine] <= r[mine] - slack - eps, 1, 2))
-            keep = np.flatnonzero(verdict)
-            yield pa.RecordBatch.from_arrays([pa.array(qid[keep]), batch["obj_id"].take(pa.array(keep)), pa.array(r[keep]), pa.array(verdict[keep].astype(np.int32))], ["query_id", "obj_id", "r", "code"])
-
-    judged = pairs.select("query_id", "obj_id", "r", "tube", "tube_err").mapInArrow(judge, "query_id long, obj_id long, r double, code int").persist()
-    exact = spark.sparkContext.broadcast({int(i): q for i, q in zip(ids, asked, strict=True)})
-
-    def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            store, own, err = m.read(batch["tube"]), batch["obj_id"].to_numpy(), batch["tube_err"].to_numpy()
+            x0, y0, x1, y1, away = (batch["hull"].field(k).to_numpy(zero_copy_only=False) for k in ("x0", "y0", "x1", "y1", "r"))
+            for query_id, asked, (tube, q_err, _), hull in queries.value:
+                near = movement.segment_mean(hull[0] - x0, hull[1] - y0, hull[2] - x1, hull[3] - y1) - away - hull[4]
+                at = np.flatnonzero(near <= max(asked) + 1e-9) if use_hull else np.arange(len(own))
+                if not len(at):
+                    continue
+                d, slack = m.many(tube, store, at), _slack(bounds, radius, err[at], q_err)
+                for r in asked:
+                    eps = 1e-9 * (1 + r)
+                    keep = np.flatnonzero(d <= r + slack + eps) if not use_hull else np.flatnonzero((d <= r + slack + eps) & (near[at] <= r + 1e-9))
+                    code = np.where(d[keep] <= r - (slack[keep] if isinstance(slack, np.ndarray) else slack) - eps, 1, 2)
+                    if len(keep):
+                        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keep), query_id)), pa.array(own[at[keep]]), pa.array(np.full(len(keep), r)), pa.array(code.astype(np.int32))], ["query_id", "obj_id", "r", "code"])
+
+    return run
+
+
+def _measure(queries):
+    m = METRICS["sad"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             store, qid = m.read(batch["obj"]), batch["query_id"].to_numpy()
             d = np.zeros(len(qid))
             for q in np.unique(qid):
                 mine = np.flatnonzero(qid == q)
-                d[mine] = m.many(exact.value[int(q)], store, mine)
-            yield pa.RecordBatch.from_arrays([batch["query_id"], batch["obj_id"], batch["r"], pa.array(d)], ["query_id", "obj_id", "r", "dist"])
-
-    undecided = judged.where("code = 2").join(tubed.select("obj_id", "obj"), "obj_id").select("query_id", "obj_id", "r", "obj")
-    refined = undecided.mapInArrow(measure, "query_id long, obj_id long, r double, dist double").withColumn("verdict", F.lit("exact"))
-    sure = judged.where("code = 1").select("query_id", "obj_id", "r", F.lit(None).cast("double").alias("dist"), F.lit("accepted").alias("verdict"))
-    return sure.unionByName(refined)
-
-
-def filter_stats(tubed: DataFrame, queries: DataFrame, radius: float, bounds: str = "mean", use_hull: bool = True) -> DataFrame:
-    """(n_filter, n_accepted, n_exact, n_result): sums over all queries; exact = filter - accepted."""
+                d[mine] = m.many(queries.value[int(q)], store, mine)
+            yield pa.RecordBatch.from_arrays([*(batch[c] for c in ("query_id", "obj_id", "r", "code")), pa.array(d)], ["query_id", "obj_id", "r", "code", "dist"])
+
+    return run
+
+
+def _stages(tubed: DataFrame, queries: DataFrame, radius: float, bounds: str, use_hull: bool, measure: bool = False) -> DataFrame:
+    spark, out = tubed.sparkSession, None
+    for block in query_blocks(queries):
+        ids, asked, radii, _ = collect_queries(block, "sad")
+        by_id: dict[int, tuple] = {}
+        for i, q, r in zip(ids if ids is not None else [], asked, radii if radii is not None else [], strict=True):
+            by_id.setdefault(int(i), (q, []))[1].append(float(r))
+        prepared = [(i, rs, movement.tube(q, radius), movement.hull(q)) for i, (q, rs) in by_id.items()]
+        run = _judge(spark.sparkContext.broadcast(prepared), radius, bounds, use_hull)
+        judged = tubed.select("obj_id", "hull", "tube", "tube_err").mapInArrow(run, "query_id long, obj_id long, r double, code int")
+        judged = scratch.write_table(judged, "judged", "search")
+        fetch = judged if measure else judged.where("code = 2")
+        wanted = scratch.small_side(fetch.select("obj_id").distinct())
+        full = tubed.select("obj_id", "obj").join(wanted, "obj_id", "left_semi")
+        exact = spark.sparkContext.broadcast({i: q for i, (q, _) in by_id.items()})
+        measured = fetch.join(full, "obj_id").select("query_id", "obj_id", "r", "code", "obj").mapInArrow(_measure(exact), "query_id long, obj_id long, r double, code int, dist double")
+        if not measure:
+            measured = measured.unionByName(judged.where("code = 1").withColumn("dist", F.lit(None).cast("double")))
+        out = measured if out is None else out.unionByName(measured)
+    return out.select("query_id", "obj_id", "r", "dist", F.when(F.col("code") == 1, "accepted").otherwise("exact").alias("verdict"))
+
+
+def filter_stats(tubed: DataFrame, queries: DataFrame, radius: float, bounds: str = "mean", use_hull: bool = True, by_radius: bool = False) -> DataFrame:
+    """(n_filter, n_accepted, n_exact, n_result): sums over all queries, with ``by_radius`` for each r; exact is
+    filter less accepted."""
     rows = _stages(tubed, queries, radius, bounds, use_hull)
-    accepted = F.count_if(F.col("verdict") == "accepted")
-    return rows.agg(F.count("*").alias("n_filter"), accepted.alias("n_accepted"), (F.count("*") - accepted).alias("n_exact"), (accepted + F.count_if((F.col("verdict") == "exact") & (F.col("dist") <= F.col("r")))).alias("n_result"))
+    accepted, exact = F.count_if(F.col("verdict") == "accepted"), F.count_if(F.col("verdict") == "exact")
+    sums = [F.count("*").alias("n_filter"), accepted.alias("n_accepted"), exact.alias("n_exact"), (accepted + F.count_if((F.col("verdict") == "exact") & (F.col("dist") <= F.col("r")))).alias("n_result")]
+    return rows.groupBy("r").agg(*sums) if by_radius else rows.agg(*sums)
 
 
 def tube_quality(tubed: DataFrame, radius: float) -> DataFrame:

@@ -38,7 +38,7 @@ def choose_strategy(objs: DataFrame, metric: str) -> str:
 def search(objs: DataFrame, queries: DataFrame, metric: str, knn: bool = False, strategy: str = "auto", tube_radius: float = 10.0, **build) -> DataFrame:
     """Range search (query_id, obj_id, dist), or with ``knn`` the k nearest, by the strategy that fits the set.
 
-    Rows that tubes accept without measuring have a null distance.
+    The result is the same whatever the strategy: rows that tubes accept without measuring are measured for it.
     """
     how = choose_strategy(objs, metric) if strategy == "auto" else strategy
     if how == "scan":
@@ -48,6 +48,6 @@ def search(objs: DataFrame, queries: DataFrame, metric: str, knn: bool = False,
         from ..sources import scratch
 
         tubed = scratch.write_table(attach_tubes(objs, tube_radius), "tubed")
-        return range_filter_refine(tubed, queries, tube_radius, "own", use_hull=False).select("query_id", "obj_id", "dist")
+        return range_filter_refine(tubed, queries, tube_radius, "own", use_hull=False, measure=True).select("query_id", "obj_id", "dist")
     tree = ix.build(objs, metric, **build)
     return ix.knn(tree, queries)[0] if knn else ix.results(ix.range_search(tree, queries))

@@ -311,8 +311,10 @@ def range_search(index: Index, queries: DataFrame, measure: bool = True, **flags
     """(query_id, obj_id, dist, n_dist) for queries (query_id, obj, r).
 
     Rows without obj_id carry counts of distance evaluations: see :func:`results` and :func:`costs`. Parts that lie
-    whole within reach are reported by a join alone; ``measure`` fetches their distances too.
+    whole within reach are reported by a join alone; ``measure`` fetches their distances too. All entries of a node are
+    measured in one call; ``mode="sequential"`` measures one at a time and as few as it can, to count them.
     """
+    flags = {"mode": "batch", **flags}
     routed = scratch.write_table(_route(index, queries, flags), "routed", "search")
     wanted = scratch.small_side(routed.select("part").distinct())
     nodes = index.nodes.join(wanted, "part", "left_semi")

@@ -160,8 +160,8 @@ def align_spatial(spark, d):
     from ..sources.objects import movements, week_vertices
 
     m = movements(week_vertices(spark, d), "id", "spatial").withColumnRenamed("obj_id", "id")
-    step = F.zip_with(F.slice("obj.x", 2, 1000000), F.slice("obj.x", 1, F.size("obj.x") - 1), lambda a, b: a - b)
-    stepy = F.zip_with(F.slice("obj.y", 2, 1000000), F.slice("obj.y", 1, F.size("obj.y") - 1), lambda a, b: a - b)
+    step = F.zip_with(F.slice("obj.x", F.lit(2), F.size("obj.x")), F.slice("obj.x", 1, F.size("obj.x") - 1), lambda a, b: a - b)
+    stepy = F.zip_with(F.slice("obj.y", F.lit(2), F.size("obj.y")), F.slice("obj.y", 1, F.size("obj.y") - 1), lambda a, b: a - b)
     total = lambda a: F.aggregate(a, F.lit(0.0), lambda t, x: t + x)
     return m.select(F.col("id").alias("obj_id"), F.round(total(F.zip_with(step, stepy, lambda a, b: F.sqrt(a * a + b * b))), 4).alias("path"), F.size("obj.s").cast("long").alias("n"), F.round(total(F.col("obj.s")), 4).alias("mass"))
 
@@ -242,11 +242,12 @@ def _gathered(objs: DataFrame, metric: str):
     return ids, store
 
 
-def _local(name: str, kind: str, knn: bool, ask=asked):
+def _local(name: str, kind: str, knn: bool, ask=asked, metric: str | None = None):
     make = {"gnat": lambda m, s: Gnat(m, s, 4, LEAF), "mvpt": lambda m, s: Mvpt(m, s, 4, LEAF), "local_tree": lambda m, s: VoronoiTree(m, s, DEGREE, LEAF)}[kind]
 
+    metric = metric or SETS[name]
+
     def run(spark, d):
-        metric = SETS[name]
         m, objs = METRICS[metric], objects(spark, d, name)
         (ids, store), queries = _gathered(objs, metric), ask(objs, r=RADII[name])
         tree = make(m, store).build()
@@ -257,34 +258,38 @@ def _local(name: str, kind: str, knn: bool, ask=asked):
                 found, _ = tree.knn(q, K)
                 rows += [(query_id, i + 1, int(ids[p]), round(x, 6)) for i, (x, p) in enumerate(found)]
             else:
-                found, ask = tree.range_search(q, RADII[name])
-                rows += [(query_id, int(ids[p]), round(ask.metric.many(q, store, [p])[0] if x is None else x, 6)) for p, x in found.items()]
+                found, _ = tree.range_search(q, RADII[name])
+                rows += [(query_id, int(ids[p]), round(m.many(q, store, [p])[0] if x is None else x, 6)) for p, x in found.items()]
         return spark.createDataFrame([(*r[:-1], float(r[-1])) for r in rows], "query_id long, rank int, obj_id long, dist double" if knn else "query_id long, obj_id long, dist double")
 
     return run
 
 
-def _range(name: str, how: str, ask=asked):
+def _range(name: str, how: str, ask=asked, metric: str | None = None):
+    metric = metric or SETS[name]
+
     def run(spark, d):
         objs = objects(spark, d, name)
         queries = ask(objs, r=RADII[name])
         if how == "scan":
-            found = scan.range_scan(objs, queries, SETS[name])
+            found = scan.range_scan(objs, queries, metric)
         else:
-            found = ix.results(ix.range_search(ix.build(objs, SETS[name], DEGREE, LEAF), queries))
+            found = ix.results(ix.range_search(ix.build(objs, metric, DEGREE, LEAF), queries))
         return found.select("query_id", "obj_id", F.round("dist", 6).alias("dist"))
 
     return run
 
 
-def _knn(name: str, how: str, ask=asked):
+def _knn(name: str, how: str, ask=asked, metric: str | None = None):
+    metric = metric or SETS[name]
+
     def run(spark, d):
         objs = objects(spark, d, name)
         queries = ask(objs)
         if how == "scan":
-            found = scan.knn_scan(objs, queries, SETS[name])
+            found = scan.knn_scan(objs, queries, metric)
         else:
-            found, _ = ix.knn(ix.build(objs, SETS[name], DEGREE, LEAF), queries, {"tree": "probe"}.get(how, how))
+            found, _ = ix.knn(ix.build(objs, metric, DEGREE, LEAF), queries, {"tree": "probe"}.get(how, how))
         return found.select("query_id", "rank", "obj_id", F.round("dist", 6).alias("dist"))
 
     return run
@@ -300,7 +305,26 @@ for _name in _RANGE_SQL:
 for _name in ("part_paths", "order_points"):
     for _how in ("best_first", "growing"):
         _query(_KNN_SQL[_name], f"knn_{_name}_{_how}")(_knn(_name, _how))
-_query(None, "range_line_words_scan")(_range("line_words", "scan"))
+
+# Sentences, and movements under the Hausdorff distance, in the same structures
+
+_PIECES = r"""(select doc_id * 100000 + pos as id, list_distinct(list_filter(string_split(lower(piece), ' '), lambda w: w <> '')) as w from
+ (select doc_id, unnest(range(0, len(p))) as pos, unnest(p) as piece from (select doc_id, string_split_regex(text, '[.!?]\s+|\n') as p from documents where text is not null)) where trim(piece) <> '')"""
+_base = f"with e as materialized {_PIECES}, q as (select * from e order by md5(id || '|1'), id limit {ASKED}), d as (select q.id as query_id, e.id as obj_id, {_JACCARD} as d from q, e)"
+_LINES_RANGE = f"{_base} select query_id, obj_id, round(d, 6) as dist from d where d <= {RADII['line_words']}"
+_LINES_KNN = f"{_base} select query_id, rank, obj_id, round(d, 6) as dist from (select query_id, row_number() over (partition by query_id order by round(d, 9), obj_id)::int as rank, obj_id, d from d) where rank <= {K}"
+_HAUSDORFF = """d as (select a.obj_id as a_id, p.obj_id as b_id, a.s as i, p.s as j, sqrt((a.x - p.x) * (a.x - p.x) + (a.y - p.y) * (a.y - p.y)) as dist from v a join asked using (obj_id), v p),
+o as (select a_id, b_id, max(m) as m from (select a_id, b_id, i, min(dist) as m from d group by all) group by all), w as (select a_id, b_id, max(m) as m from (select a_id, b_id, j, min(dist) as m from d group by all) group by all),
+far as (select a_id, b_id, greatest(o.m, w.m) as d from o join w using (a_id, b_id))"""
+_base = f"with {_aligned('part_paths')}, {_ASKED.format(n=ASKED)}, {_HAUSDORFF}"
+_SHAPES_RANGE = f"{_base} select a_id as query_id, b_id as obj_id, round(d, 6) as dist from far where d <= {RADII['part_paths']}"
+_SHAPES_KNN = f"{_base} select query_id, rank, obj_id, dist from (select a_id as query_id, row_number() over (partition by a_id order by round(d, 9), b_id)::int as rank, b_id as obj_id, round(d, 6) as dist from far) where rank <= {K}"
+for _title, _name, _metric, _sql, _ksql in (("line_words", "line_words", "jaccard", _LINES_RANGE, _LINES_KNN), ("part_hausdorff", "part_paths", "hausdorff", _SHAPES_RANGE, _SHAPES_KNN)):
+    for _how in ("scan", "tree", "gnat", "mvpt"):
+        _by_range = _range(_name, _how, asked, _metric) if _how in ("scan", "tree") else _local(_name, _how, False, asked, _metric)
+        _by_rank = _knn(_name, _how, asked, _metric) if _how in ("scan", "tree") else _local(_name, _how, True, asked, _metric)
+        _query(_sql, f"range_{_title}_{_how}")(_by_range)
+        _query(_ksql, f"knn_{_title}_{_how}")(_by_rank)
 
 
 def _filtered(how: str, ask=asked):
@@ -502,8 +526,10 @@ def _histogram(both: DataFrame, metric: str, width: float) -> DataFrame:
 _WIDTHS = {"part_paths": 10.0, "letter_hist": 500.0, "order_points": 100.0, "embedding_l1": 0.25, "doc_words": 0.05}
 for _name, _width in _WIDTHS.items():
     _sql = None
-    if _name in _FORMS and _name != "doc_words":
+    if _name in _FORMS:
         _sql = f"with e as {_FORMS[_name][0]}, o as (select *, row_number() over (order by md5(id || '|1'), id) - 1 as i from e order by i limit 300), n as (select count(*) as n from o) select floor(round({_FORMS[_name][1]}, 9) / {_width})::bigint as bin, count(*) as n from o q, o e, n, range(1, 26) t(s) where s < n.n and e.i = (q.i + s) % n.n group by bin"
+    if _name == "part_paths":
+        _sql = f"with {_aligned(_name)}, o as (select obj_id, row_number() over (order by md5(obj_id || '|1'), obj_id) - 1 as i from (select distinct obj_id from v) order by i limit 300), n as (select count(*) as n from o), pairs as (select q.obj_id as a_id, e.obj_id as b_id from o q, o e, n, range(1, 26) t(s) where s < n.n and e.i = (q.i + s) % n.n), {_sad('pairs')} select floor(round(d, 9) / {_width})::bigint as bin, count(*) as n from sad group by bin"
     _query(_sql, f"distance_histogram_{_name}")(lambda spark, d, _n=_name, _w=_width: distance_histogram(objects(spark, d, _n), SETS[_n], 300, _w))
     _query(None, f"distance_histogram_{_name}_whole")(lambda spark, d, _n=_name, _w=_width: distance_histogram_whole(objects(spark, d, _n), SETS[_n], _w))
 
@@ -528,6 +554,42 @@ def fr_identity(spark, d):
     return out
 
 
+GRID_TUBES, GRID_RADII = (5.0, 10.0, 20.0, 40.0), (30.0000137, 45.0000137, 100.0000137, 250.0000137)
+
+
+def filter_grid(objs: DataFrame, tubes: tuple[float, ...], radii: tuple[float, ...], bounds: str = "own") -> DataFrame:
+    """(tube_radius, r, n_filter, n_accepted, n_exact, n_result): the counts of filter and refinement, summed over all
+    objects whose id is divisible by 100, for each tube radius and query radius. Each set of tubes is made once."""
+    queries, out = None, None
+    for r in radii:
+        block = asked_all(objs, r=r)
+        queries = block if queries is None else queries.unionByName(block)
+    for radius in tubes:
+        tubed = scratch.write_table(filter_refine.attach_tubes(objs, radius), "tubed")
+        row = filter_refine.filter_stats(tubed, queries, radius, bounds, by_radius=True).withColumn("tube_radius", F.lit(radius))
+        out = row if out is None else out.unionByName(row)
+    return out.select("tube_radius", "r", "n_filter", "n_accepted", "n_exact", "n_result")
+
+
+def _grid_sql(name: str, tubes: tuple[float, ...], radii: tuple[float, ...]) -> str:
+    return f"""with {_aligned(name)}, asked as (select distinct obj_id from v where obj_id % 100 = 0), pairs as (select a.obj_id as a_id, b.obj_id as b_id from asked a, (select distinct obj_id from v) b), {_sad('pairs')},
+rs as (select unnest({list(radii)}::double[]) as r), ts as (select unnest({list(tubes)}::double[]) as tube_radius)
+select tube_radius, r, count(*) as n_result, true as holds from sad, rs, ts where d <= r group by all"""
+
+
+@_query(_grid_sql("part_paths", GRID_TUBES, GRID_RADII))
+def fr_grid(spark, d):
+    """Result sizes over the grid, equal for every tube radius, and whether exact is filter less accepted throughout."""
+    grid = filter_grid(objects(spark, d, "part_paths"), GRID_TUBES, GRID_RADII)
+    return grid.select("tube_radius", "r", "n_result", ((F.col("n_exact") == F.col("n_filter") - F.col("n_accepted")) & (F.col("n_result") >= F.col("n_accepted"))).alias("holds"))
+
+
+@_query(None)
+def fr_grid_counts(spark, d):
+    """All counts of the grid: the filter keeps more and accepts less as tubes grow."""
+    return filter_grid(objects(spark, d, "part_paths"), GRID_TUBES, GRID_RADII)
+
+
 @_query(None)
 def tube_quality(spark, d):
     objs, out = objects(spark, d, "part_paths"), None

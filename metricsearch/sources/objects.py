@@ -16,6 +16,12 @@ SETS = {
 LETTERS = "abcdefghijklmnopqrstuvwxyz"
 
 
+def packed(high: Column, low: Column, most: int) -> Column:
+    """``high * most + low`` as one id; a ``low`` outside 0 to ``most`` - 1 would meet another id, and fails."""
+    failed = F.raise_error(F.concat(F.lit(f"an id part outside 0 to {most - 1}: "), low.cast("string")))
+    return F.when((low >= 0) & (low < most), (high * most + low).cast("long")).otherwise(failed.cast("long"))
+
+
 def movements(vertices: DataFrame, by: str, mode: str = "time") -> DataFrame:
     """Movements (obj_id, obj) from a table (by, t, x, y): one shuffle by id, vertices sorted within it."""
     grouped = vertices.groupBy(by).agg(F.array_sort(F.collect_list(F.struct("t", "x", "y"))).alias("v"))
@@ -44,7 +50,7 @@ def week_vertices(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(id, t, x, y) by user and 7-day block from 2024-01-01: running sums of value (cents) and of k in the properties."""
     rows = load(spark, sf_dir, "events", "user_id", "ts", "value", "props")
     block = F.floor((_epoch("ts") - F.lit(1704067200000000)) / F.lit(604800000000))
-    rows = rows.select((F.col("user_id") * 100 + block).cast("long").alias("id"), _epoch("ts").alias("t"), F.round(F.col("value") * 100).cast("long").alias("c"), F.get_json_object("props", "$.k").cast("long").alias("k"))
+    rows = rows.select(packed(F.col("user_id"), block, 100).alias("id"), _epoch("ts").alias("t"), F.round(F.col("value") * 100).cast("long").alias("c"), F.get_json_object("props", "$.k").cast("long").alias("k"))
     upto = Window.partitionBy("id").orderBy("t").rowsBetween(Window.unboundedPreceding, 0)
     return rows.select("id", "t", (F.sum("c").over(upto) / 100.0).alias("x"), F.sum("k").over(upto).cast("double").alias("y"))
 
@@ -70,7 +76,7 @@ def objects(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         return load(spark, sf_dir, "documents", "doc_id", "text").where("text is not null").select(F.col("doc_id").alias("obj_id"), words(F.col("text")).alias("obj"))
     if name == "line_words":
         rows = load(spark, sf_dir, "documents", "doc_id", "text").select("doc_id", F.posexplode(F.split("text", r"[.!?]\s+|\n")))
-        return rows.where(F.trim("col") != "").select((F.col("doc_id") * 100000 + F.col("pos")).alias("obj_id"), words(F.col("col")).alias("obj"))
+        return rows.where(F.trim("col") != "").select(packed(F.col("doc_id"), F.col("pos"), 100000).alias("obj_id"), words(F.col("col")).alias("obj"))
     if name == "order_points":
         days = F.datediff(F.to_date("o_orderdate"), F.lit("1995-01-01").cast("date")).cast("double")
         return load(spark, sf_dir, "orders", "o_orderkey", "o_totalprice", "o_orderdate").select(F.col("o_orderkey").alias("obj_id"), F.struct((F.col("o_totalprice") / 1000.0).alias("x"), days.alias("y")).alias("obj"))
@@ -82,7 +88,7 @@ def cut_pieces(spark: SparkSession, sf_dir: str, size: int) -> DataFrame:
     experiment on movements of a fixed number of points."""
     v = line_vertices(spark, sf_dir, "l_suppkey")
     place = F.row_number().over(Window.partitionBy("l_suppkey").orderBy("t")) - 1
-    v = v.withColumn("piece", (F.col("l_suppkey") * 10000 + F.floor(place / size)).cast("long"))
+    v = v.withColumn("piece", packed(F.col("l_suppkey"), F.floor(place / size), 10000))
     whole = v.groupBy("piece").count().where(F.col("count") == size).select("piece")
     return movements(v.join(whole, "piece", "left_semi"), "piece")
 

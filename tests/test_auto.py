@@ -16,3 +16,13 @@ def test_choice_and_answers(spark, small):
     assert sorted((r.query_id, r.obj_id) for r in auto.search(paths, queries, "sad").collect()) == want
     best = sorted((r.query_id, r["rank"], r.obj_id) for r in knn_scan(paths, queries, "sad").collect())
     assert sorted((r.query_id, r["rank"], r.obj_id) for r in auto.search(paths, queries, "sad", knn=True, k=4, leaf=8).collect()) == best
+
+
+def test_one_form_of_results(spark, small):
+    """The same rows and distances, whatever the strategy."""
+    paths = objects(spark, small, "part_paths").persist()
+    queries = asked(paths, r=55.0)
+    found = {how: auto.search(paths, queries, "sad", strategy=how) for how in ("scan", "tubes", "tree")}
+    shown = {how: sorted((r.query_id, r.obj_id, round(r.dist, 6)) for r in df.collect()) for how, df in found.items()}
+    assert shown["scan"] == shown["tubes"] == shown["tree"] and shown["scan"]
+    assert len({tuple(df.columns) for df in found.values()}) == 1

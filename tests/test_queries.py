@@ -161,3 +161,44 @@ def test_sets_are_there(spark, small):
 def test_filter_reaches_the_scan(spark, small):
     plan = QUERIES["op_scan_pruned"](spark, small)._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull(l_shipdate), GreaterThanOrEqual(l_shipdate" in plan and "l_discount" not in plan
+
+
+def test_filter_grid_moves_as_tubes_grow(spark, small):
+    """Results stay, the filter keeps more, fewer are accepted, and more are measured, the wider the tubes."""
+    got = QUERIES["fr_grid_counts"](spark, small).toPandas().sort_values(["r", "tube_radius"])
+    assert len(got) == 16 and (got.n_exact == got.n_filter - got.n_accepted).all()
+    for _, part in got.groupby("r"):
+        assert part.n_result.nunique() == 1
+        assert part.n_filter.is_monotonic_increasing and part.n_accepted.is_monotonic_decreasing and part.n_exact.is_monotonic_increasing
+
+
+def test_filter_and_refine_in_blocks(spark, small, monkeypatch):
+    paths = objects(spark, small, "part_paths")
+    tubed = filter_refine.attach_tubes(paths, 10.0).persist()
+    queries = asked(paths, n=9, r=55.0)
+    whole = sorted(filter_refine.range_filter_refine(tubed, queries, 10.0).select("query_id", "obj_id").collect())
+    blocks = scan.query_blocks
+    monkeypatch.setattr(filter_refine, "query_blocks", lambda q: blocks(q, 4))
+    assert sorted(filter_refine.range_filter_refine(tubed, queries, 10.0).select("query_id", "obj_id").collect()) == whole
+    assert whole == sorted(scan.range_scan(paths, queries, "sad").select("query_id", "obj_id").collect())
+
+
+def test_packed_ids_never_meet(spark):
+    from metricsearch.sources.objects import packed
+
+    df = spark.createDataFrame([(1, 0), (1, 99), (2, 0)], "a long, b long").select(packed(F.col("a"), F.col("b"), 100).alias("id"))
+    assert [r.id for r in df.collect()] == [100, 199, 200]
+    for bad in (100, -1):
+        with pytest.raises(Exception, match="an id part outside 0 to 99"):
+            spark.createDataFrame([(1, bad)], "a long, b long").select(packed(F.col("a"), F.col("b"), 100).alias("id")).collect()
+
+
+def test_pairwise_measures_each_row(spark, small):
+    from metricsearch.functions import movement
+    from metricsearch.functions.register import pairwise
+
+    m = objects(spark, small, "week_paths")
+    both = pick(m, 4).select(F.col("obj").alias("a")).join(pick(m, 6, 2).select(F.col("obj").alias("b")))
+    for r in both.select("a", "b", pairwise("sad")("a", "b").alias("d"), pairwise("hausdorff")("a", "b").alias("h")).collect():
+        u, v = (tuple(np.array(x[k]) for k in ("s", "x", "y")) for x in (r.a, r.b))
+        assert r.d == pytest.approx(movement.sad(u, v)) and r.h == pytest.approx(movement.hausdorff_many(u, movement.flatten([v]))[0])
