@@ -54,7 +54,7 @@ def write_table(df: DataFrame, name: str, owner: str = "query", form: str = "par
 
 
 @contextmanager
-def small_batches(spark: SparkSession, rows: int = 1000, size: int = 16 << 20) -> Iterator[None]:
+def small_batches(spark: SparkSession, rows: int = 1000, size: int = 4 << 20) -> Iterator[None]:
     """While it holds, plans that run send Python batches of at most ``rows`` rows and ``size`` bytes: for rows that
     carry sets or lists, whose number says little about their memory."""
     own = {"spark.sql.execution.arrow.maxRecordsPerBatch": str(rows), "spark.sql.execution.arrow.maxBytesPerBatch": str(size)}
