@@ -57,7 +57,8 @@ def pack(docs: DataFrame, tokenizer_path: str | None = None, end_id: int | None
     without gaps, bucket by bucket from the longest, in input order. Documents are neither sorted nor shuffled:
     only counts by task and bucket move, and one number per sequence comes from the count of those before.
     """
-    pieces = scratch.write_table(cut_documents(docs, tokenizer_path or tokens.default_tokenizer_path(), end_id, longest, with_ids), "pieces", owner)
+    with scratch.small_batches(docs.sparkSession, 2000):
+        pieces = scratch.write_table(cut_documents(docs, tokenizer_path or tokens.default_tokenizer_path(), end_id, longest, with_ids), "pieces", owner)
     counts = pieces.groupBy("bucket", "part").agg(F.count("*").alias("_n"))
     by_bucket = Window.partitionBy("bucket").orderBy("part")
     counts = counts.withColumn("_in_bucket", F.sum("_n").over(by_bucket) - F.col("_n"))
