@@ -375,7 +375,7 @@ def _join(docs: DataFrame, width: int, percent: int, owner: str, links_as: str |
     spark = docs.sparkSession
     docs = docs.select("doc_id", "text")
     survey = docs.mapInArrow(_survey(width), "kind int, doc_id long, n long, h1 long, h2 long, least array<long>, bits array<long>")
-    with scratch.small_batches(spark, 2000):
+    with scratch.small_batches(spark, 2000, 16 << 20):  # frequent shingles are found by batch
         survey = scratch.write_table(survey, "survey", owner)
     rows = survey.where("kind = 0").drop("kind")
     classes = rows.where("n > 0 and doc_id is not null").groupBy("h1", "h2", "n").agg(F.min("doc_id").alias("rep"), F.first("least").alias("least"), F.first("bits").alias("bits"), F.count("*").alias("copies"))

@@ -57,7 +57,7 @@ def text_buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, offsets
 
 
-def slices(batches: Iterator[pa.RecordBatch], rows: int = 2000, size: int = 2 << 20) -> Iterator[pa.RecordBatch]:
+def slices(batches: Iterator[pa.RecordBatch], rows: int = 2000, size: int = 16 << 20) -> Iterator[pa.RecordBatch]:
     """:func:`workers.slices` of a task that keeps no tables."""
     workers.begin("words")
     return workers.slices(batches, rows, size)
