@@ -61,7 +61,7 @@ def _survey(width: int):
     """Rows of kind 0: (doc_id, size, digest, least shingles, parities); of kind 1: (shingle, count in the batch)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in words.slices(batches):
+        for batch in words.slices(batches, size=16 << 20):  # frequent shingles are found by slice
             ids, rows, every = batch["doc_id"].to_pylist(), [], []
             for doc_id, s in zip(ids, words.shingle_sets(batch["text"], width), strict=True):
                 rows.append((0, doc_id, len(s), *(_digest(s) if len(s) else (0, 0)), s[:SKETCH].view(np.int64).tolist(), _parity(s)))
@@ -375,7 +375,7 @@ def _join(docs: DataFrame, width: int, percent: int, owner: str, links_as: str |
     spark = docs.sparkSession
     docs = docs.select("doc_id", "text")
     survey = docs.mapInArrow(_survey(width), "kind int, doc_id long, n long, h1 long, h2 long, least array<long>, bits array<long>")
-    with scratch.small_batches(spark, 2000, 16 << 20):  # frequent shingles are found by batch
+    with scratch.small_batches(spark, 2000, 16 << 20):
         survey = scratch.write_table(survey, "survey", owner)
     rows = survey.where("kind = 0").drop("kind")
     classes = rows.where("n > 0 and doc_id is not null").groupBy("h1", "h2", "n").agg(F.min("doc_id").alias("rep"), F.first("least").alias("least"), F.first("bits").alias("bits"), F.count("*").alias("copies"))
