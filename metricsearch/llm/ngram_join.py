@@ -36,6 +36,7 @@ SLOTS = 1024  # of the parities that bound an overlap; a power of two
 OFTEN = 16  # a shingle counted this often goes to the end of the order
 MOST_OFTEN = 400_000  # the longest list of such shingles that is sent to the executors, 8 bytes each
 BATCH_OFTEN = 20_000
+COUNTED, COUNTED_SHINGLES = 2000, 1 << 21  # rows or shingles whose counts are taken together
 STRIP = 200_000  # pairs of postings that are met at once
 
 
@@ -57,26 +58,39 @@ def _parity(shingles: np.ndarray) -> list[int]:
     return np.packbits(odd.astype(np.uint8)).view(np.int64).tolist()
 
 
+def _found_often(sets: list[np.ndarray]) -> list[tuple]:
+    """Rows of kind 1 for shingles that several of the sets hold, at most ``BATCH_OFTEN``, those held most."""
+    found, count = np.unique(np.concatenate([np.zeros(0, np.uint64), *sets]), return_counts=True)
+    found, count = found[count > 1].view(np.int64), count[count > 1]
+    if len(found) > BATCH_OFTEN:
+        top = np.argpartition(-count, BATCH_OFTEN)[:BATCH_OFTEN]
+        found, count = found[top], count[top]
+    return [(1, x, n, None, None, None, None) for x, n in zip(found.tolist(), count.tolist(), strict=True)]
+
+
 def _survey(width: int):
-    """Rows of kind 0: (doc_id, size, digest, least shingles, parities); of kind 1: (shingle, count in the batch)."""
+    """Rows of kind 0: (doc_id, size, digest, least shingles, parities); of kind 1: (shingle, sets that hold it) over
+    runs of ``COUNTED`` rows or some more, fewer at the end of a task or where sets are very large."""
+    kinds = [pa.int32(), *[pa.int64()] * 4, *[pa.list_(pa.int64())] * 2]
+
+    def batch_of(rows: list[tuple]) -> pa.RecordBatch:
+        columns = list(zip(*rows, strict=True))
+        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], ["kind", "doc_id", "n", "h1", "h2", "least", "bits"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in words.slices(batches, size=16 << 20):  # frequent shingles are found by slice
-            ids, rows, every = batch["doc_id"].to_pylist(), [], []
-            for doc_id, s in zip(ids, words.shingle_sets(batch["text"], width), strict=True):
+        held: list[np.ndarray] = []
+        for batch in words.slices(batches):
+            rows = []
+            for doc_id, s in zip(batch["doc_id"].to_pylist(), words.shingle_sets(batch["text"], width), strict=True):
                 rows.append((0, doc_id, len(s), *(_digest(s) if len(s) else (0, 0)), s[:SKETCH].view(np.int64).tolist(), _parity(s)))
-                every.append(s)
-            if every and (all_of := np.concatenate(every)).size:
-                found, count = np.unique(all_of, return_counts=True)
-                found, count = found[count > 1].view(np.int64), count[count > 1]
-                if len(found) > BATCH_OFTEN:
-                    top = np.argpartition(-count, BATCH_OFTEN)[:BATCH_OFTEN]
-                    found, count = found[top], count[top]
-                rows += [(1, x, n, None, None, None, None) for x, n in zip(found.tolist(), count.tolist(), strict=True)]
+                held.append(s)
+            if len(held) >= COUNTED or sum(map(len, held)) >= COUNTED_SHINGLES:
+                rows += _found_often(held)
+                held = []
             if rows:
-                columns = list(zip(*rows, strict=True))
-                kinds = [pa.int32(), *[pa.int64()] * 4, *[pa.list_(pa.int64())] * 2]
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], ["kind", "doc_id", "n", "h1", "h2", "least", "bits"])
+                yield batch_of(rows)
+        if rest := _found_often(held):
+            yield batch_of(rest)
 
     return run
 
@@ -375,7 +389,7 @@ def _join(docs: DataFrame, width: int, percent: int, owner: str, links_as: str |
     spark = docs.sparkSession
     docs = docs.select("doc_id", "text")
     survey = docs.mapInArrow(_survey(width), "kind int, doc_id long, n long, h1 long, h2 long, least array<long>, bits array<long>")
-    with scratch.small_batches(spark, 2000, 16 << 20):
+    with scratch.small_batches(spark, 2000):
         survey = scratch.write_table(survey, "survey", owner)
     rows = survey.where("kind = 0").drop("kind")
     classes = rows.where("n > 0 and doc_id is not null").groupBy("h1", "h2", "n").agg(F.min("doc_id").alias("rep"), F.first("least").alias("least"), F.first("bits").alias("bits"), F.count("*").alias("copies"))

@@ -7,6 +7,7 @@ from __future__ import annotations
 
 import ctypes
 import gc
+import time
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -15,6 +16,7 @@ import pyarrow.compute as pc
 
 _kept: dict[str, Callable[[], None]] = {}
 _last: str | None = None  # the operator whose task ran here before
+_given_back = 0.0  # when free memory last went back to the system
 
 
 def keeps(name: str, drop: Callable[[], None]) -> None:
@@ -23,15 +25,20 @@ def keeps(name: str, drop: Callable[[], None]) -> None:
 
 
 def begin(name: str) -> None:
-    """A task of the operator ``name`` begins: what others keep goes, and free memory goes back to the system."""
-    global _last
+    """A task of the operator ``name`` begins or goes on: what others keep goes, and free memory goes back to the
+    system, once a second at most where the operator is the same."""
+    global _last, _given_back
+    now = time.monotonic()
     if _last in (None, name):
         _last = name
-        return
-    _last = name
-    for x in [x for x in _kept if x != name]:
-        _kept.pop(x)()
-    gc.collect()
+        if now < _given_back + 1:
+            return
+    else:
+        _last = name
+        for x in [x for x in _kept if x != name]:
+            _kept.pop(x)()
+        gc.collect()
+    _given_back = now
     pa.default_memory_pool().release_unused()
     try:
         ctypes.CDLL(None).malloc_trim(0)
