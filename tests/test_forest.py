@@ -66,3 +66,31 @@ def test_search_within_a_distance():
         assert made.knn(store[7], 9, within=whole[-1][0])[0] == whole
         some, cost = made.knn(store[7], 9, within=whole[3][0])
         assert some[:4] == whole[:4] and cost["total"] < 500
+
+
+@pytest.mark.parametrize("name", ["cost_by_index", "u_turn_curve", "estimate_comparison", "pruning_ablation"])
+def test_costs_are_counted_in_the_tasks(spark, small, monkeypatch, name):
+    def refuse(*_):
+        raise AssertionError("the driver gathers the set")
+
+    monkeypatch.setattr(voronoi, "_gather", refuse)
+    got = QUERIES[name](spark, small).toPandas()
+    assert len(got) == {"cost_by_index": 120, "u_turn_curve": 8, "estimate_comparison": 18, "pruning_ablation": 8}[name]
+    if name == "cost_by_index":  # the answers of all kinds are the same
+        assert (got.groupby(["name", "search", "parameter"]).n_results.nunique() == 1).all()
+        scans = got[(got.kind == "scan") & (got.name == "order_points")]
+        assert (scans.n_dist == objects(spark, small, "order_points").count()).all()
+
+
+def test_costs_over_several_blocks(spark, small):
+    objs, n = objects(spark, small, "order_points"), []
+    queries = asked_all(objs, r=90.0)
+
+    def measure(m, store, queries):
+        made = forest.KINDS["tree"](m, store, 8, 20).build()
+        return [("tree", float(sum(len(made.range_search(q, 90.0, eager=far)[0]) for q, far in queries)))]
+
+    for parts in (1, 5):
+        rows = forest.measured(objs, queries, "euclid", measure, "kind string, n double", parts).collect()
+        n.append((len(rows), sum(r.n for r in rows)))
+    assert n[0][0] == 1 and n[1][0] == 5 and n[0][1] == n[1][1] == scan.range_scan(objs, queries, "euclid").count()
