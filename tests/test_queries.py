@@ -202,3 +202,9 @@ def test_pairwise_measures_each_row(spark, small):
     for r in both.select("a", "b", pairwise("sad")("a", "b").alias("d"), pairwise("hausdorff")("a", "b").alias("h")).collect():
         u, v = (tuple(np.array(x[k]) for k in ("s", "x", "y")) for x in (r.a, r.b))
         assert r.d == pytest.approx(movement.sad(u, v)) and r.h == pytest.approx(movement.hausdorff_many(u, movement.flatten([v]))[0])
+
+
+def test_recursion_reads_the_customers(spark, small):
+    got = QUERIES["op_cte_recursive"](spark, small)
+    assert sorted(r.node for r in got.collect()) == sorted(r.c_custkey for r in spark.read.parquet(f"{small}/customer.parquet").select("c_custkey").collect())
+    assert got.inputFiles() or "customer" in got._jdf.queryExecution().toString()
