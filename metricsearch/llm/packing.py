@@ -34,7 +34,7 @@ def cut_documents(docs: DataFrame, tokenizer_path: str, end_id: int | None, long
         place = 0
         for batch in workers.slices(batches):
             out: list[list] = [[] for _ in range(8 + with_ids)]
-            for doc_id, part, ids in zip(batch["doc_id"].to_pylist(), batch["part"].to_pylist(), tokens.encoded(batch["text"].to_pylist(), tokenizer_path), strict=True):
+            for doc_id, part, ids in zip(batch["doc_id"].to_pylist(), batch["part"].to_pylist(), tokens.encoded(batch["text"], tokenizer_path), strict=True):
                 data, start = memoryview(ids + end), 0
                 for n in piece_lengths(len(data) // 4, longest):
                     piece = data[4 * start : 4 * (start + n)]

@@ -32,7 +32,7 @@ def token_lists(docs: DataFrame, tokenizer_path: str, end_id: int | None) -> Dat
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in workers.slices(batches):
-            lists = [x + end for x in tokens.encoded(batch["text"].to_pylist(), tokenizer_path)]
+            lists = [x + end for x in tokens.encoded(batch["text"], tokenizer_path)]
             offsets, total = [0], 0
             for x in lists:
                 total += len(x) // 4

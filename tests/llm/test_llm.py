@@ -197,6 +197,20 @@ def test_encoder_on_real_and_odd_texts(spark, small):
         assert e.encode(t) == e.whole(t)
 
 
+def test_encoder_takes_each_piece_of_a_column_once(monkeypatch):
+    import pyarrow as pa
+
+    e = tokens.TextEncoder(tokens.default_tokenizer_path())
+    seen, merged, pieces, merge = [], [], e._pieces, e.merge
+    monkeypatch.setattr(e, "_pieces", lambda x: (seen.extend(x), pieces(x))[1])
+    monkeypatch.setattr(e, "merge", lambda x: (merged.append(x), merge(x))[1])
+    texts = ["left out", "Été été, ÉTÉ!! it's 42%", None, "", "été  it's\nété,\t<|endoftext|>. Ωmega's €5 o\u0301", "\x7f \r a\x7f", " "] * 3
+    column = pa.array(texts).slice(1)
+    assert list(e.encode_column(column)) == [e.whole(t) if t else b"" for t in texts[1:]]
+    assert len(seen) == len(set(seen)) and len(merged) == len(set(merged))
+    assert list(e.encode_column(column.slice(0, 0))) == []
+
+
 def brute_ids(text, end):
     e = tokens.encoder(tokens.default_tokenizer_path())
     return (e.whole(text) if text else b"") + end.to_bytes(4, "little")
