@@ -15,6 +15,7 @@ from metricsearch.llm import langid, mixing, ngram_join, packing, scratch
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 LEAST_SCORE = 0.5  # of the best language; below it no language holds a majority
+PACKED_WORDS = 50_000  # that a packing worker remembers, in each of two generations; executors are full by then
 _owner: ContextVar[str | None] = ContextVar("owner", default=None)
 
 
@@ -33,9 +34,11 @@ def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     whole. Where no row that may be learnt from has a language, all go. An empty table gives no rows. Of other
     columns than ``COLUMNS`` none is returned, whatever their names.
     """
-    _own(spark)
-    found = langid.identify(docs.select(*COLUMNS))
-    return found.where((F.col("lang_pred") != langid.UNKNOWN) & (F.col("score") >= LEAST_SCORE)).select(*COLUMNS)
+    owner = _own(spark)
+    with scratch.small_batches(spark, 1000, 1 << 20):
+        found = langid.identify(docs.select(*COLUMNS))
+        kept = found.where((F.col("lang_pred") != langid.UNKNOWN) & (F.col("score") >= LEAST_SCORE)).select(*COLUMNS)
+        return scratch.write_table(kept, "known-language", owner)  # here, as the small batches end with this block
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -62,7 +65,7 @@ def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     A null or empty text is one piece with the end id. Repeated rows, as the mix makes them, are packed each. An empty
     table gives no rows. Columns other than doc_id and text take no part.
     """
-    return packing.pack(docs.select("doc_id", "text"), owner=_own(spark))
+    return packing.pack(docs.select("doc_id", "text"), owner=_own(spark), most_words=PACKED_WORDS)
 
 
 STAGES = [("language_id", known_language), ("ngram_join", one_of_each), ("source_mix", target_mix), ("packing", packed)]

@@ -24,7 +24,7 @@ def piece_lengths(n: int, longest: int = 4096) -> list[int]:
     return [longest] * (n // longest) + [1 << k for k in range(rest.bit_length() - 1, -1, -1) if rest >> k & 1]
 
 
-def cut_documents(docs: DataFrame, tokenizer_path: str, end_id: int | None, longest: int, with_ids: bool) -> DataFrame:
+def cut_documents(docs: DataFrame, tokenizer_path: str, end_id: int | None, longest: int, with_ids: bool, most_words: int = tokens.MAX_WORDS) -> DataFrame:
     """Pieces of every whole text of ``docs`` (doc_id, text), numbered by task and place; optionally with their ids."""
     end = b"" if end_id is None else end_id.to_bytes(4, "little")
     if longest < 1 or longest & (longest - 1):
@@ -34,7 +34,7 @@ def cut_documents(docs: DataFrame, tokenizer_path: str, end_id: int | None, long
         place = 0
         for batch in workers.slices(batches):
             out: list[list] = [[] for _ in range(8 + with_ids)]
-            for doc_id, part, ids in zip(batch["doc_id"].to_pylist(), batch["part"].to_pylist(), tokens.encoded(batch["text"], tokenizer_path), strict=True):
+            for doc_id, part, ids in zip(batch["doc_id"].to_pylist(), batch["part"].to_pylist(), tokens.encoded(batch["text"], tokenizer_path, most_words), strict=True):
                 data, start = memoryview(ids + end), 0
                 for n in piece_lengths(len(data) // 4, longest):
                     piece = data[4 * start : 4 * (start + n)]
@@ -49,16 +49,17 @@ def cut_documents(docs: DataFrame, tokenizer_path: str, end_id: int | None, long
     return docs.select("doc_id", F.spark_partition_id().alias("part"), "text").mapInArrow(run, PIECES + ", ids binary" * with_ids)
 
 
-def pack(docs: DataFrame, tokenizer_path: str | None = None, end_id: int | None = 2, longest: int = 4096, with_ids: bool = False, owner: str = "query") -> DataFrame:
+def pack(docs: DataFrame, tokenizer_path: str | None = None, end_id: int | None = 2, longest: int = 4096, with_ids: bool = False, owner: str = "query", most_words: int = tokens.MAX_WORDS) -> DataFrame:
     """One row for each piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, bucket (and ids).
 
     A null text counts as empty; with an end id it still makes a piece of one id, without one it makes none. Repeated
     rows are packed as often as they occur; columns other than doc_id and text are left out. Sequences are numbered
     without gaps, bucket by bucket from the longest, in input order. Documents are neither sorted nor shuffled:
     only counts by task and bucket move, and one number per sequence comes from the count of those before.
+    ``most_words`` bounds what a worker remembers, not what is packed.
     """
-    with scratch.small_batches(docs.sparkSession, 2000):
-        pieces = scratch.write_table(cut_documents(docs, tokenizer_path or tokens.default_tokenizer_path(), end_id, longest, with_ids), "pieces", owner)
+    with scratch.small_batches(docs.sparkSession, 1000, 1 << 20):
+        pieces = scratch.write_table(cut_documents(docs, tokenizer_path or tokens.default_tokenizer_path(), end_id, longest, with_ids, most_words), "pieces", owner)
     counts = pieces.groupBy("bucket", "part").agg(F.count("*").alias("_n"))
     by_bucket = Window.partitionBy("bucket").orderBy("part")
     counts = counts.withColumn("_in_bucket", F.sum("_n").over(by_bucket) - F.col("_n"))

@@ -53,7 +53,7 @@ class _Kept:
 class TextEncoder:
     """Encodes texts with one tokenizer file, ids as in ``encode(text, add_special_tokens=False)``."""
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, most_words: int = MAX_WORDS):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         import regex
         from tokenizers import Tokenizer, pre_tokenizers
@@ -73,7 +73,7 @@ class TextEncoder:
             chars = map(chr, [*range(0x80, 0x800), *range(0x800, 0xD800, 64)])
             self.shown = {byte: shown for char in chars for byte, shown in zip(char.encode(), bytes_of(char)[0][0], strict=True)}
             self.merge = self.tokenizer.model.tokenize
-        self.words = _Kept(MAX_WORDS)
+        self.words = _Kept(most_words)
 
     def whole(self, text: str) -> bytes:
         """The library's own ids of a text."""
@@ -127,12 +127,12 @@ class TextEncoder:
 
 
 @lru_cache(maxsize=2)
-def encoder(path: str) -> TextEncoder:
+def encoder(path: str, most_words: int = MAX_WORDS) -> TextEncoder:
     """One encoder for each Python worker; workers are kept between tasks, and so is its table, until another operator begins."""
-    return TextEncoder(path)
+    return TextEncoder(path, most_words)
 
 
-def encoded(texts: pa.Array | list[str | None], path: str) -> Iterator[bytes]:
+def encoded(texts: pa.Array | list[str | None], path: str, most_words: int = MAX_WORDS) -> Iterator[bytes]:
     workers.begin("tokens")
     workers.keeps("tokens", encoder.cache_clear)
-    yield from encoder(path).encode_column(texts if isinstance(texts, pa.Array) else pa.array(texts, pa.string()))
+    yield from encoder(path, most_words).encode_column(texts if isinstance(texts, pa.Array) else pa.array(texts, pa.string()))

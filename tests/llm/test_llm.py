@@ -715,3 +715,28 @@ def test_scratch_is_released(spark):
     assert os.path.exists(path.removeprefix("file://"))
     scratch.release(spark, "mine")
     assert not os.path.exists(path.removeprefix("file://"))
+
+
+def test_pipeline_language_stage_sends_small_batches(spark, small, monkeypatch):
+    """The rows are written while the bound on batches holds: a lazy result would be sent without it."""
+    import corpus_pipeline
+
+    seen, write = [], scratch.write_table
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    monkeypatch.setattr(corpus_pipeline.scratch, "write_table", lambda df, *a, **b: (seen.append(int(spark.conf.get(key))), write(df, *a, **b))[1])
+    before = spark.conf.get(key)
+    docs = spark.read.parquet(f"{small}/documents.parquet")
+    kept = corpus_pipeline.known_language(spark, docs, small)
+    assert seen == [1 << 20] and spark.conf.get(key) == before
+    assert "ArrowEvalPython" not in kept._jdf.queryExecution().executedPlan().toString()
+    found = langid.identify(docs.select(*corpus_pipeline.COLUMNS)).where(f"lang_pred <> '{langid.UNKNOWN}' and score >= {corpus_pipeline.LEAST_SCORE}")
+    assert sorted(r.doc_id for r in kept.collect()) == sorted(r.doc_id for r in found.collect())
+
+
+def test_encoder_with_few_words():
+    """A smaller table of words gives the same ids."""
+    path = tokens.default_tokenizer_path()
+    few, texts = tokens.TextEncoder(path, 50), [" ".join(f"word{i * j} x{i}" for i in range(90)) for j in range(5)]
+    for text in texts:
+        assert few.encode(text) == few.whole(text)
+    assert len(few.words.young) <= 50 and len(few.words.old) <= 50
