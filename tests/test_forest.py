@@ -3,14 +3,16 @@
 import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
+from metricsearch.functions import columns, movement
 from metricsearch.functions.metrics import METRICS
 from metricsearch.operators import scan, voronoi
 from metricsearch.plans import forest
 from metricsearch.plans.baselines import Gnat, Mvpt
-from metricsearch.plans.workloads import asked_all
-from metricsearch.sources.objects import objects
+from metricsearch.plans.workloads import asked, asked_all
+from metricsearch.sources.objects import objects, pick
 
 QUERIES = entry.queries()
 
@@ -94,3 +96,34 @@ def test_costs_over_several_blocks(spark, small):
         rows = forest.measured(objs, queries, "euclid", measure, "kind string, n double", parts).collect()
         n.append((len(rows), sum(r.n for r in rows)))
     assert n[0][0] == 1 and n[1][0] == 5 and n[0][1] == n[1][1] == scan.range_scan(objs, queries, "euclid").count()
+
+
+def _plan(df):
+    return df._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_asked_objects_alone_are_made(spark, small):
+    """The ids of a query table are a filter of the rows that movements are made of."""
+    objs = objects(spark, small, "part_paths")
+    queries = asked(objs, 4, r=2.0, k=3)
+    ids = sorted(r.obj_id for r in pick(objs, 4).collect())
+    assert sorted(r.query_id for r in queries.collect()) == ids and {(r.r, r.k) for r in queries.collect()} == {(2.0, 3)}
+    below = _plan(queries).split("Aggregate")[-1]
+    assert all(str(i) in below.split("Relation")[0] for i in ids)
+
+
+def test_asked_as_picked(spark):
+    objs = spark.createDataFrame([(i // 2 if i < 30 else None, i) for i in range(33)], "obj_id long, obj long")
+    for n in (0, 1, 5, 40):
+        want = sorted(str(r.obj_id) for r in pick(objs, n).collect())
+        assert sorted(str(r.query_id) for r in asked(objs, n).collect()) == want and len(want) == min(n, 33)
+
+
+def test_alignment_reads_a_movement_once(spark):
+    """No vertex makes the array of all times again, so that the work grows with the vertices, not with their square."""
+    t, x = [-7, 3, 4, 90, 1000], [0.0, 1.5, 1.0, 7.0, -2.0]
+    rows = spark.createDataFrame([(list(zip(t, x, x)),), ([(5, 2.0, 3.0)],)], "v array<struct<t:bigint,x:double,y:double>>")
+    made = rows.select(columns.align(F.col("v")).alias("obj"))
+    for got, want in zip(made.collect(), (movement.align(t, x, x), movement.align([5], [2.0], [3.0])), strict=True):
+        assert [got.obj[k] for k in ("s", "x", "y")] == [a.tolist() for a in want]
+    assert "element_at(transform(" not in _plan(made)
