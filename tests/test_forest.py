@@ -104,6 +104,7 @@ def _plan(df):
 
 def test_asked_objects_alone_are_made(spark, small):
     """The ids of a query table are a filter of the rows that movements are made of."""
+    spark.catalog.clearCache()  # other tests keep the same set
     objs = objects(spark, small, "part_paths")
     queries = asked(objs, 4, r=2.0, k=3)
     ids = sorted(r.obj_id for r in pick(objs, 4).collect())
