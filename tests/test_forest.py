@@ -9,7 +9,7 @@ import __spark_entry__ as entry
 from metricsearch.functions import columns, movement
 from metricsearch.functions.metrics import METRICS
 from metricsearch.operators import scan, voronoi
-from metricsearch.plans import forest
+from metricsearch.plans import baselines, forest
 from metricsearch.plans.baselines import Gnat, Mvpt
 from metricsearch.plans.workloads import asked, asked_all
 from metricsearch.sources.objects import objects, pick
@@ -128,3 +128,45 @@ def test_alignment_reads_a_movement_once(spark):
     for got, want in zip(made.collect(), (movement.align(t, x, x), movement.align([5], [2.0], [3.0])), strict=True):
         assert [got.obj[k] for k in ("s", "x", "y")] == [a.tolist() for a in want]
     assert "element_at(transform(" not in _plan(made)
+
+
+@pytest.mark.parametrize("kind", ["gnat", "mvpt"])
+@pytest.mark.parametrize("metric", ["l1", "euclid"])
+def test_all_queries_at_once_as_one_by_one(monkeypatch, kind, metric):
+    """With many equal objects, queries that are none of them, radii of their own, and few pairs at a time."""
+    m, rng = METRICS[metric], np.random.default_rng(5)
+    store = np.round(rng.random((900, 2 if metric == "euclid" else 6)) * 40)
+    store[300:700] = store[3]
+    qs = np.concatenate([store[::9], rng.random((20, store.shape[1])) * 60])
+    r = np.where(np.arange(len(qs)) % 5 == 0, 0.0, rng.random(len(qs)) * 30)
+    r[7] = np.inf
+    made = forest.KINDS[kind](m, store, 8, 20).build()
+    want = {(i, j): d for i, q in enumerate(qs) for j, d in made.range_search(q, r[i])[0].items()}
+    assert want == {(i, int(j)): d[j] for i, q in enumerate(qs) for d in [m.many(q, store)] for j in np.flatnonzero(d <= r[i])}
+    for pairs in (50_000, 7):
+        monkeypatch.setattr(baselines, "PAIRS", pairs)
+        got = [(int(i), int(j), float(x)) for parts in made.range_search_all(qs, r) for i, j, x in zip(*parts, strict=True)]
+        assert len(got) == len(want) and {(i, j): x for i, j, x in got} == want
+    assert not list(made.range_search_all(qs[:0], r[:0]))
+
+
+@pytest.mark.parametrize("kind", ["gnat", "mvpt"])
+def test_nodes_are_opened_once_for_all_queries(monkeypatch, kind):
+    m, calls = METRICS["l1"], []
+    store = np.random.default_rng(4).random((3000, 5))
+    made = forest.KINDS[kind](m, store, 8, 20).build()
+    for name in ("many", "pairs"):
+        monkeypatch.setattr(m, name, lambda *a, f=getattr(m, name): calls.append(1) or f(*a))
+
+    class Sent:
+        value = (np.arange(3000), list(store), np.full(3000, 0.2), None)
+
+    found = list(forest._found(made, m, store, [Sent]))
+    assert sum(len(at) for _, at, _ in found) >= 3000 and len(calls) < 2000  # fewer than queries
+
+
+@pytest.mark.parametrize("name", ["letter_hist", "order_points", "embedding_l1"])
+def test_searches_of_a_hundredth_as_scans(spark, small, name):
+    rows = lambda how: sorted(map(tuple, QUERIES[f"range_{name}_{how}_every100"](spark, small).select("query_id", "obj_id", "dist").collect()))
+    want = rows("scan")
+    assert want and rows("gnat") == want and rows("mvpt") == want
