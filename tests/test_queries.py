@@ -199,6 +199,24 @@ def test_verdicts_of_an_object_go_together(spark, small, monkeypatch):
     assert {x.r: x for x in filter_refine.filter_stats(tubed, queries, 20.0, "own", by_radius=True).collect()} == got
 
 
+def test_a_distance_is_taken_once_for_all_radii(monkeypatch):
+    import types
+
+    import pyarrow as pa
+
+    from metricsearch.functions import movement
+
+    paths = [movement.align([0, 1, 3], [0.0, i, 2.0], [0.0, 1.0, i]) for i in range(4)]
+    sad, measured = filter_refine.METRICS["sad"], []
+    monkeypatch.setattr(type(sad), "many", lambda self, q, store, index: measured.extend(index) or movement.sad_many(q, movement.pick(store, index)))
+    asks = [[{"query_id": q, "r": r, "code": 2} for r in (1.0, 2.0, 3.0) for q in (9, 8)], [], [{"query_id": 9, "r": 2.0, "code": 2}]]
+    batch = pa.RecordBatch.from_pylist([{"obj_id": 10 * i, "asks": a, "obj": dict(zip("sxy", (c.tolist() for c in paths[i]), strict=True))} for i, a in enumerate(asks)])
+    (out,) = filter_refine._measure(types.SimpleNamespace(value={8: paths[3], 9: paths[1]}))([batch])
+    assert len(measured) == 3
+    assert [(x["query_id"], x["obj_id"], x["r"]) for x in out.to_pylist()] == [(a["query_id"], 10 * i, a["r"]) for i, row in enumerate(asks) for a in row]
+    assert out["dist"].to_pylist() == pytest.approx([movement.sad(paths[3 if x["query_id"] == 8 else 1], paths[x["obj_id"] // 10]) for x in out.to_pylist()])
+
+
 def test_packed_ids_never_meet(spark):
     from metricsearch.sources.objects import packed
 
